@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from pathalgebra.llm import packing, token_store
+from pathalgebra.llm import near_dup, packing, token_store
 from pathalgebra.runtime import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -16,12 +16,16 @@ def op4_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_store.encode_corpus(table(spark, sf_dir, "documents"))
 
 
+def op7_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dup.near_duplicates(table(spark, sf_dir, "documents"), width=3, percent=85)
+
+
 def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"))
 
 
 def queries() -> dict[str, Query]:
-    return {"op4_token_store": op4_token_store, "op10_packing": op10_packing}
+    return {"op4_token_store": op4_token_store, "op7_near_dup": op7_near_dup, "op10_packing": op10_packing}
 
 
 def oracle_sql() -> dict[str, str]:
