@@ -6,27 +6,40 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from pathalgebra.llm import near_dup, packing, token_store
+from pathalgebra.llm import licenses, mixing, near_dup, packing, quality, token_store
 from pathalgebra.runtime import table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op3_curriculum(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix_sources(table(spark, sf_dir, "documents")).drop("position")
+
+
 def op4_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_store.encode_corpus(table(spark, sf_dir, "documents"))
 
 
+def op6_adaptive_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.adaptive_quality(table(spark, sf_dir, "documents"))
+
+
 def op7_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dup.near_duplicates(table(spark, sf_dir, "documents"), width=3, percent=85)
 
 
+def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.license_scan(table(spark, sf_dir, "documents"))
+
+
 def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"))
 
 
 def queries() -> dict[str, Query]:
-    return {"op4_token_store": op4_token_store, "op7_near_dup": op7_near_dup, "op10_packing": op10_packing}
+    found = (op3_curriculum, op4_token_store, op6_adaptive_quality, op7_near_dup, op8_license_scan, op10_packing)
+    return {f.__name__: f for f in found}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op3_curriculum": mixing.SQL, "op6_adaptive_quality": quality.sql(), "op8_license_scan": licenses.sql()}
