@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from pathalgebra.llm import licenses, mixing, near_dup, packing, quality, token_store
+from pathalgebra.llm import licenses, mixing, near_dup, packing, quality, token_store, vectors
 from pathalgebra.runtime import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -32,12 +32,16 @@ def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.license_scan(table(spark, sf_dir, "documents"))
 
 
+def op9_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return vectors.near_vectors(table(spark, sf_dir, "embeddings"))
+
+
 def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"))
 
 
 def queries() -> dict[str, Query]:
-    found = (op3_curriculum, op4_token_store, op6_adaptive_quality, op7_near_dup, op8_license_scan, op10_packing)
+    found = (op3_curriculum, op4_token_store, op6_adaptive_quality, op7_near_dup, op8_license_scan, op9_vectors, op10_packing)
     return {f.__name__: f for f in found}
 
 

@@ -87,7 +87,8 @@ def read_token_store(documents_path: str, spark) -> DataFrame:
 
     def decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for row in batch.to_pylist():
+            for k in range(len(batch)):
+                row = batch.slice(k, 1).to_pylist()[0]
                 ends = EliasFano.from_bytes(row["ends"]).decode()
                 keys = EliasFano.from_bytes(row["keys"]).decode() + row["key_base"]
                 starts = np.concatenate([[0], ends[:-1]])

@@ -46,7 +46,7 @@ class WordEncoder:
     starts anew, which costs time and never changes a result.
     """
 
-    def __init__(self, path: str, end_id: int | None = 1, cache_limit: int = 500_000):
+    def __init__(self, path: str, end_id: int | None = 1, cache_limit: int = 250_000):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
@@ -95,7 +95,7 @@ class WordEncoder:
         self.first[known : known + len(chunks)] = self.used + np.cumsum(sizes) - sizes
         self.index.update(zip(chunks, range(known, known + len(chunks)), strict=True))
         self.used += total
-        if len(self.pieces) > self.cache_limit:
+        if len(self.pieces) > self.cache_limit // 2:
             self.pieces = {}
 
     def _block(self, texts: pa.Array) -> list[np.ndarray]:
@@ -118,7 +118,7 @@ class WordEncoder:
 
     def encode(self, texts: pa.Array) -> Iterator[np.ndarray]:
         """Ids of each text in turn; null counts as empty."""
-        for _, block in blocks(texts):
+        for _, block in blocks(texts, 4_000_000):
             yield from self._block(block)
 
 
