@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from pathalgebra.llm import html_text, licenses, mixing, near_dup, packing, quality, token_store, vectors
+from pathalgebra.llm import html_text, langid, licenses, mixing, near_dup, packing, quality, token_store, vectors
 from pathalgebra.runtime import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -16,6 +16,10 @@ def op1_page_differencing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_text.main_text(table(spark, sf_dir, "pages"))
 
 
+def op2_crf_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.identify_languages(table(spark, sf_dir, "documents"))
+
+
 def op3_curriculum(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_sources(table(spark, sf_dir, "documents")).drop("position")
 
@@ -45,7 +49,7 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    found = (op1_page_differencing, op3_curriculum, op4_token_store, op6_adaptive_quality, op7_near_dup, op8_license_scan, op9_vectors, op10_packing)
+    found = (op1_page_differencing, op2_crf_language, op3_curriculum, op4_token_store, op6_adaptive_quality, op7_near_dup, op8_license_scan, op9_vectors, op10_packing)
     return {f.__name__: f for f in found}
 
 
