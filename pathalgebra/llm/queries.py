@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from pathalgebra.llm import html_text, langid, licenses, mixing, near_dup, packing, quality, token_store, vectors
+from pathalgebra.llm import html_text, langid, licenses, mixing, near_dup, packing, quality, token_store, toxicity, vectors
 from pathalgebra.runtime import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -28,6 +28,10 @@ def op4_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_store.encode_corpus(table(spark, sf_dir, "documents"))
 
 
+def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.score_toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op6_adaptive_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.adaptive_quality(table(spark, sf_dir, "documents"))
 
@@ -49,7 +53,7 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    found = (op1_page_differencing, op2_crf_language, op3_curriculum, op4_token_store, op6_adaptive_quality, op7_near_dup, op8_license_scan, op9_vectors, op10_packing)
+    found = (op1_page_differencing, op2_crf_language, op3_curriculum, op4_token_store, op5_toxicity, op6_adaptive_quality, op7_near_dup, op8_license_scan, op9_vectors, op10_packing)
     return {f.__name__: f for f in found}
 
 
