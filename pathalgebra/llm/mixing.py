@@ -113,6 +113,40 @@ def training_order(mixed: DataFrame) -> DataFrame:
     return taken.repartitionByRange("position", "doc_id").sortWithinPartitions("position", "doc_id")
 
 
+def repeat_by_mix(documents: DataFrame, weights: tuple[int, ...] = (1, 2, 3), most_repeats: int = 3) -> DataFrame:
+    """The documents that the mix takes, once for each pass, in training order.
+
+    Passes are whole: the document that a source's target would cut is taken once
+    more if at least half of it is due.  Columns are those of ``documents``.
+    Documents without words are taken by no target and are left out.  The order
+    needs no join by document: a document's hash, as a share of the range of
+    hashes, is the share of its source's tokens that stand before it, and the
+    demand inverted there is its position.  One join with a row for each source,
+    one range-partitioned sort.
+    """
+    mixed = stored(mix_sources(documents, weights, most_repeats).select("doc_id", "size", "source_size", "target", "taken"), "mixed")
+    key = F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary"))
+    sized = documents.select("doc_id", F.col("source").alias("s")).withColumn("key", key)
+    extra = F.expr("2 * (taken - (cast(floor(target) as bigint) div source_size) * size) >= size")
+    per_id = mixed.where("size > 0").groupBy("doc_id").agg(F.max(extra).alias("extra"))
+    last = sized.join(per_id, sized["doc_id"].eqNullSafe(per_id["doc_id"])).groupBy("s").agg(F.max(F.when(F.col("extra"), F.col("key"))).alias("last"))
+    sums = documents.groupBy("source").agg(F.sum(word_count(F.col("text"))).alias("source_size"))
+    plan = source_targets(sums, weights, most_repeats).where("source_size > 0")
+    plan = plan.join(last, F.col("source").eqNullSafe(F.col("s"))).select("s", "source_size", "target", "tilt", "last")
+    plan = stored(plan, "mix-plan")
+    columns = [documents[c] for c in documents.columns]
+    joined = documents.join(plan, documents["source"].eqNullSafe(plan["s"])).where(word_count(documents["text"]) > 0)
+    whole = F.expr("cast(floor(target) as bigint) div source_size")
+    joined = joined.select(*columns, (whole + F.coalesce((key <= F.col("last")).cast("int"), F.lit(0))).alias("_times"), key.alias("_key"), "source_size", "target", "tilt")
+    joined = joined.where("_times > 0").withColumn("_pass", F.explode(F.sequence(F.lit(0).cast("long"), F.col("_times") - 1)))
+    part = F.conv(F.substring("_key", 1, 8), 16, 10).cast("double") / float(1 << 32)
+    share = F.least(F.lit(1.0), (F.col("_pass") + part) * F.col("source_size") / F.col("target"))
+    a = F.col("tilt")
+    root = F.sqrt((1 - a) * (1 - a) + 4 * a * share)
+    placed = joined.withColumn("_at", F.when(a == 0, share).otherwise((2 * share) / ((1 - a) + root)))
+    return placed.repartitionByRange("_at", "_key").sortWithinPartitions("_at", "_key").select(*documents.columns)
+
+
 #: The rows of mix_sources() but position, for the default parameters.
 SQL = r"""
 WITH d AS (
