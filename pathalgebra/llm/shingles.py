@@ -52,19 +52,22 @@ def shingle_sets(texts: pa.Array, width: int) -> Iterator[np.ndarray]:
 
 
 class OddSketcher:
-    """MinHash samples, their bands, and their parities folded into a bitmap.
-
-    Sample ``j`` of a set flips the bit that ``(j, least value)`` hashes to.  Two
-    sets that share a sample flip the same bit, so the XOR of two bitmaps holds
-    only samples that differ, and its population count tells how many.
+    """MinHash samples for bands, and samples folded into parity bitmaps.
+
+    Bands take ``bands * rows`` independent MinHash values.  The bitmaps take the
+    elements with the least hash values: all of a small set, and of a larger one
+    those below a power of two that leaves at most ``most`` or so.  Each sample
+    flips one bit.  Two sets flip the same bits for what they share, so the XOR of
+    two bitmaps holds only what differs, and its population count tells how much.
+    Sets whose powers differ by one are compared at the rarer one, which is why a
+    sketch holds two bitmaps.
     """
 
-    def __init__(self, bands: int = 20, rows: int = 5, bits: int = 256):
-        self.bands, self.rows, self.bits = bands, rows, bits
+    def __init__(self, bands: int = 20, rows: int = 5, bits: int = 1024, most: int = 1024):
+        self.bands, self.rows, self.bits, self.most = bands, rows, bits, most
         self.samples = bands * rows
         self.xors, self.factors = odd_numbers(self.samples, 11), odd_numbers(self.samples, 13)
         self.lanes = odd_numbers(rows, 17)
-        self.salt = odd_numbers(self.samples, 19)
         self.band_salt = odd_numbers(bands, 23)
 
     def minima(self, items: np.ndarray) -> np.ndarray:
@@ -78,12 +81,36 @@ class OddSketcher:
         keys = (mix(minima).reshape(self.bands, self.rows) * self.lanes).sum(axis=1, dtype=np.uint64)
         return mix(keys ^ self.band_salt).view(np.int64)
 
-    def sketch(self, minima: np.ndarray) -> bytes:
-        places = mix(minima ^ self.salt) % np.uint64(self.bits)
-        odd = np.bincount(places.astype(np.int64), minlength=self.bits) & 1
-        return np.packbits(odd.astype(np.uint8)).tobytes()
-
-    def similarity(self, flipped: np.ndarray) -> np.ndarray:
-        """The estimate for so many differing bits; 0 where the bitmap is full."""
-        share = np.minimum(2 * flipped / self.bits, 1 - 1e-9)
-        return np.maximum(0, 1 + self.bits / (4 * self.samples) * np.log1p(-share))
+    def sketch(self, items: np.ndarray) -> bytes:
+        """Two numbers of samples, the power, and two bitmaps."""
+        level = max(0, (len(items) - 1).bit_length() - (self.most - 1).bit_length())
+        hashes = mix(items ^ np.uint64(0x5851F42D4C957F2D))
+        head, maps = [level], []
+        for deep in (level, level + 1):
+            kept = hashes[hashes >> np.uint64(64 - deep) == 0] if deep else hashes
+            odd = np.bincount((kept % np.uint64(self.bits)).astype(np.int64), minlength=self.bits) & 1
+            head.append(len(kept))
+            maps.append(np.packbits(odd.astype(np.uint8)).tobytes())
+        return np.array([*head, 0], np.uint64).tobytes() + b"".join(maps)
+
+    def table(self, sketches) -> np.ndarray:
+        """Sketches as rows of 64-bit numbers."""
+        return np.frombuffer(b"".join(sketches), np.uint64).reshape(len(sketches), -1)
+
+    def similarity(self, one: np.ndarray, others: np.ndarray) -> np.ndarray:
+        """Estimated Jaccard similarity of one sketch with each row of others."""
+        width = self.bits // 64
+        out = np.zeros(len(others))
+        level, theirs = int(one[0]), others[:, 0].astype(np.int64)
+        for shift in (-1, 0, 1):
+            rows = np.flatnonzero(theirs - level == shift)
+            if not len(rows):
+                continue
+            mine, other = max(shift, 0), max(-shift, 0)
+            a = one[4 + mine * width : 4 + (mine + 1) * width]
+            b = others[rows, 4 + other * width : 4 + (other + 1) * width]
+            flipped = np.bitwise_count(a ^ b).sum(axis=1, dtype=np.int64)
+            differ = -self.bits / 2 * np.log1p(-np.minimum(2 * flipped / self.bits, 1 - 1e-6))
+            total = float(one[1 + mine]) + others[rows, 1 + other]
+            out[rows] = np.maximum(0, (total - differ) / np.maximum(total + differ, 1))
+        return out
