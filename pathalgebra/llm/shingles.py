@@ -97,10 +97,15 @@ class OddSketcher:
         """Sketches as rows of 64-bit numbers."""
         return np.frombuffer(b"".join(sketches), np.uint64).reshape(len(sketches), -1)
 
-    def similarity(self, one: np.ndarray, others: np.ndarray) -> np.ndarray:
-        """Estimated Jaccard similarity of one sketch with each row of others."""
-        width = self.bits // 64
-        out = np.zeros(len(others))
+    def similarity(self, one: np.ndarray, others: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
+        """(estimated Jaccard similarity, whether it may be ``percent`` / 100) of one sketch with each other.
+
+        The second is False only where the bitmaps differ by five deviations more
+        than at that similarity: the deviation of the bitmap's own collisions and,
+        for sets that aren't taken whole, of the choice of samples.
+        """
+        width, least = self.bits // 64, percent / 100
+        near, may = np.zeros(len(others)), np.zeros(len(others), bool)
         level, theirs = int(one[0]), others[:, 0].astype(np.int64)
         for shift in (-1, 0, 1):
             rows = np.flatnonzero(theirs - level == shift)
@@ -112,5 +117,12 @@ class OddSketcher:
             flipped = np.bitwise_count(a ^ b).sum(axis=1, dtype=np.int64)
             differ = -self.bits / 2 * np.log1p(-np.minimum(2 * flipped / self.bits, 1 - 1e-6))
             total = float(one[1 + mine]) + others[rows, 1 + other]
-            out[rows] = np.maximum(0, (total - differ) / np.maximum(total + differ, 1))
-        return out
+            near[rows] = np.maximum(0, (total - differ) / np.maximum(total + differ, 1))
+            wanted = total * (1 - least) / (1 + least)
+            load = wanted / self.bits
+            odd = (1 - np.exp(-2 * load)) / 2
+            spread = self.bits * np.maximum(odd * (1 - odd) - load * np.exp(-4 * load), 0) * np.exp(4 * load)
+            if level + max(shift, 0):
+                spread = spread + (total + wanted) / 2 * least * (1 - least)
+            may[rows] = differ <= wanted + 5 * np.sqrt(spread) + 1
+        return near, may
