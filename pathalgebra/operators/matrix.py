@@ -90,8 +90,8 @@ def product(a: DataFrame, b: DataFrame, row: int | None = None, col: int | None
         return merged.select("r", F.explode("cols").alias("c"))
     if method == "salted":
         fan = 8
-        left = a.select("r", F.col("c").alias("k"), F.pmod(F.xxhash64("r"), F.lit(fan)).alias("salt"))
-        right = b.select(F.col("r").alias("k"), "c", F.explode(F.sequence(F.lit(0), F.lit(fan - 1))).cast("long").alias("salt"))
+        left = a.select("r", F.col("c").alias("k"), F.pmod(F.xxhash64("r"), F.lit(fan)).cast("int").alias("salt"))
+        right = b.select(F.col("r").alias("k"), "c", F.explode(F.sequence(F.lit(0), F.lit(fan - 1))).alias("salt"))
         return left.join(right, ["k", "salt"]).select("r", "c").distinct()
     return _meet(a, b).select("r", "c").distinct()
 
