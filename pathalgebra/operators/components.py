@@ -233,4 +233,6 @@ def factored_closure(a: DataFrame, leaf_ones: int = LEAF_ONES) -> FactoredClosur
 
     comp = checkpointed(components(a, leaf_ones))
     dag, cyclic = condense(a, comp)
-    return FactoredClosure(comp, closure(dag, method="auto", leaf_ones=leaf_ones), cyclic)
+    # A graph without cycles has no smaller components, so a large one is squared.
+    method = "leaf" if dag.count() <= leaf_ones else "squaring"
+    return FactoredClosure(comp, closure(dag, method=method), cyclic)
