@@ -173,7 +173,7 @@ def cut_windows(sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return text, number * STRIDE, np.minimum(WINDOW, sizes[text] - number * STRIDE)
 
 
-def window_scores(net: Network, codes: np.ndarray, begins: np.ndarray, sizes: np.ndarray, vectors: np.ndarray, step: int = 8192) -> tuple[np.ndarray, ...]:
+def window_scores(net: Network, codes: np.ndarray, begins: np.ndarray, sizes: np.ndarray, vectors: np.ndarray, step: int = 2048) -> tuple[np.ndarray, ...]:
     """(text, first word, words, log-odds) of all windows of a block."""
     text, first, words = cut_windows(sizes)
     odds = np.empty(len(text), np.float32)
@@ -187,25 +187,25 @@ def window_scores(net: Network, codes: np.ndarray, begins: np.ndarray, sizes: np
 
 def evidence(codes: np.ndarray, sizes: np.ndarray, words: list[str], toxic: np.ndarray, net: Network, least: int = 5) -> None:
     """Smoothed log-odds of words and n-grams by labelled texts; rare ones have none."""
-    text = np.repeat(np.arange(len(sizes)), sizes)
-    pairs = np.unique(text.astype(np.int64) * len(words) + codes) if len(codes) else np.empty(0, np.int64)
-    text, word = pairs // max(1, len(words)), pairs % max(1, len(words))
     yes, no = toxic.sum() + 1.0, (1 - toxic).sum() + 1.0
-    for bits, table, which_part in ((_WORD_BITS, net.word_evidence, 0), (_GRAM_BITS, net.gram_evidence, 1)):
-        cells: list[np.ndarray] = [np.empty(0, np.int64)] * len(words)
+    begins = np.cumsum(sizes) - sizes
+    for bits, table, whole_word in ((_WORD_BITS, net.word_evidence, True), (_GRAM_BITS, net.gram_evidence, False)):
+        shift = np.uint64(64 - bits)
+        count = np.zeros(len(words), np.int64)
+        parts = []
         for which, name, grams, there in word_parts(words):
-            shift = np.uint64(64 - bits)
-            for row, i in enumerate(which.tolist()):
-                cells[i] = (name[row : row + 1] if which_part == 0 else grams[row][there[row]]) >> shift
-        sizes_of = np.fromiter(map(len, cells), np.int64, len(cells))
-        flat = np.concatenate(cells).astype(np.int64) if cells else np.empty(0, np.int64)
-        first = np.cumsum(sizes_of) - sizes_of
-        cell = flat[ragged(first[word], sizes_of[word])] if len(word) else flat[:0]
-        owner = np.repeat(text, sizes_of[word])
-        once = np.unique(owner * (1 << bits) + cell)
-        owner, cell = once >> bits, once & ((1 << bits) - 1)
-        pos = np.bincount(cell, toxic[owner], 1 << bits)
-        neg = np.bincount(cell, 1 - toxic[owner], 1 << bits)
+            count[which] = 1 if whole_word else there.sum(axis=1)
+            parts.append((which, ((name if whole_word else grams[there]) >> shift).astype(np.int32)))
+        first = np.cumsum(count) - count
+        flat = np.zeros(int(count.sum()), np.int32)
+        for which, cells in parts:
+            flat[ragged(first[which], count[which])] = cells
+        del parts
+        pos, neg = np.zeros(1 << bits), np.zeros(1 << bits)
+        for k in range(len(sizes)):  # a text at a time keeps memory small
+            own = np.unique(codes[begins[k] : begins[k] + sizes[k]])
+            cells = np.unique(flat[ragged(first[own], count[own])])
+            (pos if toxic[k] else neg)[cells] += 1
         odds = np.log((pos + 0.1) / yes) - np.log((neg + 0.1) / no)
         table[:] = np.where(pos >= least, np.clip(odds, 0, 5) * pos / (pos + least), 0)
 

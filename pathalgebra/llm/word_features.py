@@ -30,7 +30,7 @@ def letter_matrix(words: list[str]) -> Iterator[tuple[np.ndarray, np.ndarray, np
     for high in (6, 12, 24, 64, int(sizes.max()) if len(sizes) else 0):
         which = np.flatnonzero((sizes > low) & (sizes <= high))
         low = max(low, high)
-        step = max(1, 2_000_000 // (high + 2))
+        step = max(1, 400_000 // (high + 2))
         for at in range(0, len(which), step):
             part = which[at : at + step]
             width = int(sizes[part].max())
