@@ -107,10 +107,14 @@ def mix_sources(documents: DataFrame, weights: tuple[int, ...] = (1, 2, 3), most
     return placed.select("doc_id", "size", "source_size", "target", "taken", position.alias("position"))
 
 
-def training_order(mixed: DataFrame) -> DataFrame:
-    """The mix in training order: one range-partitioned sort by position, untaken documents left out."""
-    taken = mixed.where("taken > 0")
-    return taken.repartitionByRange("position", "doc_id").sortWithinPartitions("position", "doc_id")
+def training_order(mixed: DataFrame, untaken: bool = False) -> DataFrame:
+    """The mix in training order: one range-partitioned sort by position.
+
+    Untaken documents are left out, or with ``untaken`` stand behind all others.
+    """
+    rows = mixed if untaken else mixed.where("taken > 0")
+    order = (F.col("position").asc_nulls_last(), F.col("doc_id").asc_nulls_first())
+    return rows.repartitionByRange(*order).sortWithinPartitions(*order)
 
 
 def repeat_by_mix(documents: DataFrame, weights: tuple[int, ...] = (1, 2, 3), most_repeats: int = 3) -> DataFrame:

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from pathalgebra.llm import html_text, langid, licenses, mixing, near_dup, packing, quality, token_store, toxicity, vectors
-from pathalgebra.runtime import table
+from pathalgebra.runtime import stored, table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -21,7 +21,9 @@ def op2_crf_language(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_curriculum(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.mix_sources(table(spark, sf_dir, "documents")).drop("position")
+    # Stored first: the range sort reads its input twice, once for the borders.
+    mixed = stored(mixing.mix_sources(table(spark, sf_dir, "documents")), "mixed")
+    return mixing.training_order(mixed, untaken=True).drop("position")
 
 
 def op4_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
