@@ -1,8 +1,11 @@
 """Near-duplicate vectors: spherical k-means cells and blocked cosine products.
 
 Equal vectors of a label form a class that one vector stands for.  Every
-representative belongs to its nearest cell and visits the next nearest ones;
-inside a cell, members are compared with members and visitors.  A task gives
+representative belongs to its nearest cell and visits every cell of a lower number
+that can hold a linked vector; inside a cell, members are compared with members and
+visitors, so every linked pair meets once.  A vector whose nearest centre is ``a``
+can be linked with a member of cell ``b`` only if it lies within the angle of
+``least`` of the plane halfway between the two centres.  A task gives
 sums of links and a spanning forest, not pairs, so a group of n near copies
 costs n rows.
 """
@@ -74,15 +77,13 @@ def _compare(rows: pa.Table, dim: int, least: float, step: int = 512) -> pa.Reco
     ids = rows["rep"].to_numpy()
     role = rows["role"].to_numpy()
     weight = rows["n"].to_numpy()
-    home = rows["home"].to_numpy()
-    cell = rows["cell"].to_numpy()[0]
-    probes = np.stack(rows["probes"].to_numpy())
     raw = _matrix(rows["embedding"].combine_chunks(), dim)
     norm = np.sqrt((raw * raw).sum(axis=1))
     left, right = np.flatnonzero(role == 0), np.flatnonzero(role != 0)
     same_block = not (role == 1).any()
     if same_block:
-        right = np.arange(len(ids))
+        # Further shares of the visitors meet the members, who have met each other in the first.
+        right = np.arange(len(ids)) if rows["m"][0].as_py() == 0 else np.flatnonzero(role == 2)
     sums = np.zeros(len(ids), np.int64)
     forest, a_out, b_out = _Forest(len(ids)), [], []
     for at in range(0, len(left), step):
@@ -93,11 +94,9 @@ def _compare(rows: pa.Table, dim: int, least: float, step: int = 512) -> pa.Reco
             i, j = np.nonzero(near >= least)
             i, j = rows_at[i], cols_at[j]
             member = role[j] != 2
-            # Members of one block meet twice; a visitor's pair may be seen in its home cell as well.
+            # Members of one block meet twice.
             once = np.where(member, (i < j) | (role[j] == 1), True)
-            i, j, member = i[once], j[once], member[once]
-            both = ~member & (probes[i] == home[j][:, None]).any(axis=1) & (home[j] < cell)
-            i, j = i[~both], j[~both]
+            i, j = i[once], j[once]
             np.add.at(sums, i, weight[j])
             np.add.at(sums, j, weight[i])
             for p, q in zip(i.tolist(), j.tolist(), strict=True):
@@ -111,7 +110,7 @@ def _compare(rows: pa.Table, dim: int, least: float, step: int = 512) -> pa.Reco
     )
 
 
-def near_vectors(vectors: DataFrame, least: float = 0.93, probes: int = 6, cell_rows: int = 2000, sample: int = 20_000, block: int = 4096) -> DataFrame:
+def near_vectors(vectors: DataFrame, least: float = 0.93, cell_rows: int = 2000, sample: int = 20_000, block: int = 4096) -> DataFrame:
     """Per row: vec_id, n_links, component_id, kept.
 
     Linked are vectors of equal label (and length) with cosine >= ``least`` in
@@ -122,7 +121,8 @@ def near_vectors(vectors: DataFrame, least: float = 0.93, probes: int = 6, cell_
 
     Cells are fitted on ``sample`` representatives at most; every representative
     is then assigned.  Cells of more than ``block`` members are compared block
-    against block in tasks of their own.
+    against block in tasks of their own, and visitors in shares of about ``4 * block``.
+    Vectors without structure rule out few cells, and then all pairs are compared.
     """
     rows = vectors.select(F.col("vec_id").cast("long"), F.col("label"), F.col("embedding").cast("array<double>"))
     usable = rows.where(_usable())
@@ -139,36 +139,53 @@ def near_vectors(vectors: DataFrame, least: float = 0.93, probes: int = 6, cell_
         cells = max(1, min(-(-total // cell_rows), len(members) // 8, 1024))
         centres[dim] = spherical_kmeans(np.array(members), cells)
 
+    apart = {dim: np.stack([np.linalg.norm(c - one, axis=1) for one in c]) for dim, c in centres.items()}
+    # The sine of the angle of ``least``; an obtuse angle rules nothing out.
+    reach = max(0.0, 1 - least * least) ** 0.5 if least > 0 else 2.0
+
     def assign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             found = []
             for v in batch.column(1).to_numpy(zero_copy_only=False):
                 c = centres.get(len(v))
                 if c is None:
-                    found.append([0] * probes)
+                    found.append([0])
                     continue
-                near = c @ v
-                top = np.argsort(-near, kind="stable")[:probes].tolist()
-                found.append(top + [top[0]] * (probes - len(top)))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.list_(pa.int32()))], names=["rep", "probes"])
-
-    placed = classes.select("rep", "embedding").mapInArrow(assign, "rep long, probes array<int>")
-    placed = classes.join(placed, "rep").withColumn("dim", F.size("embedding")).withColumn("home", F.get("probes", F.lit(0)))
+                # Scaled first: squares of huge or tiny parts leave the range of doubles.
+                v = v / np.abs(v).max()
+                near = c @ (v / np.linalg.norm(v))
+                home = int(near.argmax())
+                visits = np.flatnonzero(near[home] - near[:home] <= reach * apart[len(v)][home, :home] + 1e-9)
+                found.append([home, *visits.tolist()])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.list_(pa.int32()))], names=["rep", "visits"])
+
+    placed = classes.select("rep", "embedding").mapInArrow(assign, "rep long, visits array<int>")
+    placed = classes.join(placed, "rep").withColumn("dim", F.size("embedding")).withColumn("home", F.get("visits", F.lit(0)))
     placed = stored(placed, "placed")
     counts = placed.groupBy("label", "dim", "home").agg(F.ceil(F.count("*") / block).cast("int").alias("parts")).withColumnRenamed("home", "cell")
     counts = stored(counts, "cells")
-    spread = placed.withColumn("cell", F.explode(F.array_distinct("probes"))).join(counts, ["label", "dim", "cell"])
+    entries = placed.select("label", "dim", "home", F.explode("visits").alias("cell")).where("cell <> home")
+    entries = entries.groupBy("label", "dim", "cell").agg(F.ceil(F.count("*") / (4 * block)).cast("int").alias("shares"))
+    counts = stored(counts.join(entries, ["label", "dim", "cell"], "left").fillna(1, ["shares"]), "shares")
+    spread = placed.withColumn("cell", F.explode("visits")).join(counts, ["label", "dim", "cell"])
     mine = F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int")
     parts = F.sequence(F.lit(0), F.col("parts") - 1)
 
-    def task(i, j, role):
-        return F.struct(i.cast("int").alias("i"), j.cast("int").alias("j"), role.alias("role"))
+    share = F.pmod(F.xxhash64("rep", F.lit(1)), F.col("shares")).cast("int")
+    shares = F.sequence(F.lit(0), F.col("shares") - 1)
+
+    def task(i, j, m, role):
+        return F.struct(i.cast("int").alias("i"), j.cast("int").alias("j"), m.cast("int").alias("m"), role.alias("role"))
+
+    def pairs(k):
+        other = F.array(task(F.least(mine, k), F.greatest(mine, k), F.lit(0), F.when(mine <= k, F.lit(0)).otherwise(F.lit(1))))
+        return F.when(mine == k, F.transform(shares, lambda m: task(k, k, m, F.lit(0)))).otherwise(other)
 
-    as_member = F.transform(parts, lambda k: task(F.least(mine, k), F.greatest(mine, k), F.when(mine <= k, F.lit(0)).otherwise(F.lit(1))))
-    as_visitor = F.transform(parts, lambda k: task(k, k, F.lit(2)))
+    as_member = F.flatten(F.transform(parts, pairs))
+    as_visitor = F.transform(parts, lambda k: task(k, k, share, F.lit(2)))
     spread = spread.withColumn("t", F.explode(F.when(F.col("cell") == F.col("home"), as_member).otherwise(as_visitor)))
-    dealt = spread.select("label", "dim", "cell", "t.i", "t.j", "t.role", "rep", "n", "home", "probes", "embedding")
-    keys = ["label", "dim", "cell", "i", "j"]
+    dealt = spread.select("label", "dim", "cell", "t.i", "t.j", "t.m", "t.role", "rep", "n", "embedding")
+    keys = ["label", "dim", "cell", "i", "j", "m"]
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = None
