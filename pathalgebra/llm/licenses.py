@@ -1,7 +1,10 @@
 """License scans: base phrases, and an exact set-similarity join with templates.
 
-Blocks are the lines of a text.  A block matches a template if it holds at least
-``percent`` % of the template's distinct words.  The join finds every match and
+Blocks are the lines of a text, and each line with as many words behind it as the
+longest template has but one, so a statement that is wrapped at any width is whole
+in the wide block of the line it starts in.  A line matches a template if it holds
+at least ``percent`` % of the template's distinct words; a wide block must hold all
+of them, as words of its neighbours would else stand in for missing ones.  The join finds every match and
 compares few sets: words of templates are ordered by how many blocks hold them,
 rarest first; a match must share one of a template's first words in that order
 (prefix), must be long enough (length), and must have enough words behind the
@@ -74,15 +77,30 @@ def _thresholds(templates: tuple, percent: int) -> dict[str, tuple[list[str], in
     return out
 
 
-def scan_blocks(documents: DataFrame, vocabulary: list[str], shortest: int) -> DataFrame:
-    """One pass over the texts: counts, places, and each long enough block's known words."""
+def scan_blocks(documents: DataFrame, vocabulary: list[str], shortest: int, behind: int) -> DataFrame:
+    """One pass over the texts: counts, places, and each long enough block's known words.
+
+    Blocks are lines with words, and such lines with the ``behind`` words that follow.
+    """
     known = F.array(*map(F.lit, vocabulary))
     signs = F.array(*(F.lit(p.split()[0]) for p, _ in BASE))
     none = F.array().cast("array<struct<start:bigint,label:string>>")
 
+    def blocks(lines: Column) -> Column:
+        def wide(heads: Column) -> Column:
+            # Every line has a word, so that so many lines hold enough of them.
+            after = lambda i: F.slice(F.flatten(F.slice(heads, i + 2, behind)), 1, behind)
+            return F.transform(lines, lambda w, i: held(F.concat(w, after(i)), True))
+
+        def held(w: Column, is_wide: bool) -> Column:
+            return F.struct(F.array_intersect(w, known).alias("words"), F.lit(is_wide).alias("wide"))
+
+        found = F.concat(F.transform(lines, lambda w: held(w, False)), _let(F.transform(lines, lambda w: F.slice(w, 1, behind)), wide))
+        return F.filter(found, lambda b: F.size(b["words"]) >= shortest)
+
     def scan(lines: Column) -> Column:
         n = F.aggregate(lines, F.lit(0).cast("long"), lambda acc, w: acc + F.size(w))
-        kept = F.filter(F.transform(lines, lambda w: F.array_intersect(w, known)), lambda b: F.size(b) >= shortest)
+        kept = _let(F.filter(lines, lambda w: F.size(w) > 0), blocks)
         hit = F.exists(lines, lambda w: F.arrays_overlap(w, signs))
         places = F.when(hit, _let(F.flatten(lines), _places)).otherwise(none)
         return F.struct(n.alias("n_words"), places.alias("places"), kept.alias("blocks"))
@@ -104,8 +122,9 @@ def license_scan(documents: DataFrame, templates: tuple = TEMPLATES, percent: in
     """
     wanted = _thresholds(templates, percent)
     vocabulary = sorted({w for words, _ in wanted.values() for w in words})
-    scanned = stored(scan_blocks(documents, vocabulary, min(n for _, n in wanted.values())), "scanned")
-    blocks = scanned.select("rid", F.posexplode("blocks").alias("block", "words"))
+    behind = max(len(re.findall(r"[a-z0-9]+", phrase)) for _, phrase in templates) - 1
+    scanned = stored(scan_blocks(documents, vocabulary, min(n for _, n in wanted.values()), behind), "scanned")
+    blocks = scanned.select("rid", F.posexplode("blocks").alias("block", "b")).select("rid", "block", "b.words", "b.wide")
     # The vocabulary is fixed, so its counts are a short list.
     held = {r["w"]: r["n"] for r in blocks.select(F.explode("words").alias("w")).groupBy("w").agg(F.count("*").alias("n")).collect()}
     order = sorted(vocabulary, key=lambda w: (held.get(w, 0), w))
@@ -119,14 +138,14 @@ def license_scan(documents: DataFrame, templates: tuple = TEMPLATES, percent: in
     prefix = spark.createDataFrame(prefixes, "rank int, label string, at int, size int, need int")
     whole = spark.createDataFrame(full, "label string, ranks array<int>, need int")
     numbers = F.create_map(*(x for w, k in rank.items() for x in (F.lit(w), F.lit(k))))
-    ranked = blocks.select("rid", "block", F.array_sort(F.transform("words", lambda w: numbers[w])).alias("ranks"))
-    probes = ranked.select("rid", "block", F.col("ranks").alias("own"), F.posexplode("ranks").alias("j", "rank"))
+    ranked = blocks.select("rid", "block", "wide", F.array_sort(F.transform("words", lambda w: numbers[w])).alias("ranks"))
+    probes = ranked.select("rid", "block", "wide", F.col("ranks").alias("own"), F.posexplode("ranks").alias("j", "rank"))
     # Both template tables have a few rows for each template in the code.
     candidates = probes.join(F.broadcast(prefix), "rank")
-    behind = 1 + F.least(F.col("size") - F.col("at") - 1, F.size("own") - F.col("j") - 1)
-    candidates = candidates.where((F.size("own") >= F.col("need")) & (behind >= F.col("need"))).select("rid", "label", "own")
+    left = 1 + F.least(F.col("size") - F.col("at") - 1, F.size("own") - F.col("j") - 1)
+    candidates = candidates.where((F.size("own") >= F.col("need")) & (left >= F.col("need"))).select("rid", "label", "wide", "own")
     shared = F.size(F.array_intersect("own", "ranks"))
-    matches = candidates.join(F.broadcast(whole), "label").where(shared >= F.col("need"))
+    matches = candidates.join(F.broadcast(whole), "label").where(shared >= F.when(F.col("wide"), F.size("ranks")).otherwise(F.col("need")))
     matches = matches.groupBy("rid").agg(F.collect_set("label").alias("found"), F.max(shared / F.size("ranks")).alias("best"))
     joined = scanned.drop("blocks").join(stored(matches, "matches"), "rid", "left")
     base = F.array_distinct(F.transform("places", lambda p: p["label"]))
@@ -140,6 +159,7 @@ def license_scan(documents: DataFrame, templates: tuple = TEMPLATES, percent: in
 
 
 def sql(templates: tuple = TEMPLATES, percent: int = 80) -> str:
+    """All pairs of templates and single lines; it doesn't know statements that are wrapped."""
     wanted = _thresholds(templates, percent)
     rows = ", ".join(f"('{k}', {words!r}, {need})" for k, (words, need) in wanted.items())
     cases = " UNION ALL ".join(
