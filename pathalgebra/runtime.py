@@ -9,24 +9,31 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
 _own_dirs: dict[str, str] = {}
+_scopes: list[list[str]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
     """The folder that all executors share.
 
-    It is ``spark.checkpoint.dir`` of the session.  Only where that is unset, as
-    in tests on one machine, a temporary folder is made, once for a session.
+    It is ``spark.checkpoint.dir`` of the session.  Where that is unset, a cluster
+    uses a folder in its warehouse; only a session on one machine, as in tests,
+    makes a temporary folder, once.
     """
     configured = spark.conf.get("spark.checkpoint.dir", None)
     if configured:
         return configured.rstrip("/")
     app = spark.sparkContext.applicationId
     if app not in _own_dirs:
-        _own_dirs[app] = "file://" + tempfile.mkdtemp(prefix="pathalgebra-")
+        if spark.sparkContext.master.startswith("local"):
+            _own_dirs[app] = "file://" + tempfile.mkdtemp(prefix="pathalgebra-")
+        else:
+            _own_dirs[app] = f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/pathalgebra-{app}"
     return _own_dirs[app]
 
 
@@ -35,6 +42,30 @@ def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
 
+def delete_paths(spark: SparkSession, paths: list[str]) -> None:
+    """Remove folders by the file system they lie in; missing ones don't matter."""
+    hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs
+    for p in paths:
+        path = hadoop.Path(p)
+        path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[None]:
+    """Deletes at its end what ``stored`` wrote inside.
+
+    What outlives the block must have been written before it ends and outside of
+    it, as by :func:`kept`.  After an error the files stay for a look at them.
+    """
+    _scopes.append([])
+    try:
+        yield
+    except BaseException:
+        _scopes.pop()
+        raise
+    delete_paths(spark, _scopes.pop())
+
+
 def stored(df: DataFrame, name: str = "step") -> DataFrame:
     """Write a frame as Parquet in the shared folder and read it back.
 
@@ -45,9 +76,20 @@ def stored(df: DataFrame, name: str = "step") -> DataFrame:
     spark = df.sparkSession
     path = fresh_path(spark, name)
     df.write.parquet(path)
+    if _scopes:
+        _scopes[-1].append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def kept(df: DataFrame, name: str = "result") -> DataFrame:
+    """Like ``stored``, for the result of a :func:`scratch` block: the block around that one owns it."""
+    inner = _scopes.pop()
+    try:
+        return stored(df, name)
+    finally:
+        _scopes.append(inner)
+
+
 def checkpointed(df: DataFrame) -> DataFrame:
     """Reliable checkpoint: cuts the lineage and keeps partitions as they are."""
     spark = df.sparkSession
