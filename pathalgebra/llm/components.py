@@ -12,24 +12,21 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pathalgebra.runtime import stored
+from pathalgebra.runtime import kept, scratch, stored
 
 
 def _star(edges: DataFrame, large: bool) -> DataFrame:
-    both = edges.select(F.col("a").alias("u"), F.col("b").alias("v"))
-    if large:
-        both = both.unionByName(edges.select(F.col("b").alias("u"), F.col("a").alias("v")))
-    else:
-        both = both.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))
-    both = stored(both.distinct(), "star-edges")
-    least = stored(both.groupBy(F.col("u").alias("k")).agg(F.min("v").alias("m")).select("k", F.least("k", "m").alias("m")), "star-least")
+    """One contraction; ``edges`` (a > b) are distinct, and so are those that come out."""
+    down = edges.select(F.col("a").alias("u"), F.col("b").alias("v"))
+    both = down.unionByName(edges.select(F.col("b").alias("u"), F.col("a").alias("v"))) if large else down
+    least = both.groupBy(F.col("u").alias("k")).agg(F.min("v").alias("m")).select("k", F.least("k", "m").alias("m"))
     joined = both.join(least, both["u"] == least["k"])
     if large:
         out = joined.where("v > u").select(F.col("v").alias("a"), F.col("m").alias("b"))
     else:
         out = joined.where("v <> m").select(F.col("v").alias("a"), F.col("m").alias("b"))
         out = out.unionByName(least.where("k <> m").select(F.col("k").alias("a"), F.col("m").alias("b")))
-    return stored(out.where("a <> b").distinct(), "star-out")
+    return out.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
 
 
 def _mark(edges: DataFrame) -> tuple:
@@ -42,18 +39,20 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
     Ends are whole numbers without nulls; loops and repeated edges don't matter.
     No edges give no rows.
     """
-    edges = stored(edges.select("a", "b").where("a <> b").distinct(), "edges")
-    before = _mark(edges)
-    if before[0] == 0:
-        return edges.select(F.col("a").alias("id"), F.col("b").alias("component_id"))
-    for _ in range(most_rounds):
-        edges = _star(_star(edges, large=True), large=False)
-        now = _mark(edges)
-        if now == before:
-            break
-        before = now
-    else:
-        raise RuntimeError("components didn't settle")
-    pointers = edges.select(F.greatest("a", "b").alias("id"), F.least("a", "b").alias("component_id"))
-    roots = pointers.select(F.col("component_id").alias("id"), "component_id").distinct()
-    return pointers.unionByName(roots)
+    spark = edges.sparkSession
+    with scratch(spark):
+        pairs = edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
+        edges = stored(pairs.where("a <> b").distinct(), "edges")
+        before = _mark(edges)
+        for _ in range(most_rounds if before[0] else 0):
+            edges = stored(_star(stored(_star(edges, large=True), "star"), large=False), "star")
+            now = _mark(edges)
+            if now == before:
+                break
+            before = now
+        else:
+            if before[0]:
+                raise RuntimeError("components didn't settle")
+        pointers = edges.select(F.col("a").alias("id"), F.col("b").alias("component_id"))
+        roots = pointers.select(F.col("component_id").alias("id"), "component_id").distinct()
+        return kept(pointers.unionByName(roots), "components")

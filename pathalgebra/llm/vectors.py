@@ -1,17 +1,21 @@
 """Near-duplicate vectors: spherical k-means cells and blocked cosine products.
 
 Equal vectors of a label form a class that one vector stands for.  Every
-representative belongs to its nearest cell and visits every cell of a lower number
-that can hold a linked vector; inside a cell, members are compared with members and
-visitors, so every linked pair meets once.  A vector whose nearest centre is ``a``
-can be linked with a member of cell ``b`` only if it lies within the angle of
-``least`` of the plane halfway between the two centres.  A task gives
+representative belongs to its nearest cell and visits cells of a lower number;
+inside a cell, members are compared with members and visitors, so every linked pair
+that meets does so once.  A vector whose nearest centre is ``a`` visits cell ``b``
+if it lies near the plane halfway between the two centres.  A linked vector beyond
+that plane can't be farther away than the sine of the angle of ``least``; if the
+difference of the two has no preferred direction, its part across the plane has a
+deviation of that distance over the root of the dimensions, and ``deviations`` of
+them are allowed for.  So the visits grow far slower than the cells.  A task gives
 sums of links and a spanning forest, not pairs, so a group of n near copies
 costs n rows.
 """
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 
 import numpy as np
@@ -54,22 +58,32 @@ def _matrix(column: pa.Array, dim: int) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(-1, dim)
 
 
-class _Forest:
-    def __init__(self, n: int):
-        self.up = list(range(n))
+def _joined(label: np.ndarray, i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Labels of components after linking i with j, and the links that a forest needs.
 
-    def root(self, i: int) -> int:
-        while self.up[i] != i:
-            self.up[i] = self.up[self.up[i]]
-            i = self.up[i]
-        return i
-
-    def join(self, i: int, j: int) -> bool:
-        i, j = self.root(i), self.root(j)
-        if i == j:
-            return False
-        self.up[max(i, j)] = min(i, j)
-        return True
+    In a round every root hooks onto the least root that it is linked with, so the
+    rounds grow with the logarithm of the links.
+    """
+    a_out, b_out = [], []
+    while True:
+        a, b = label[i], label[j]
+        apart = a != b
+        i, j, a, b = i[apart], j[apart], a[apart], b[apart]
+        if not len(i):
+            break
+        high, low = np.maximum(a, b), np.minimum(a, b)
+        order = np.lexsort((low, high))
+        roots, first = np.unique(high[order], return_index=True)
+        taken = order[first]
+        a_out.append(i[taken])
+        b_out.append(j[taken])
+        up = np.arange(len(label))
+        up[roots] = low[taken]
+        while (further := up[up]).tobytes() != up.tobytes():
+            up = further
+        label = up[label]
+    none = [np.empty(0, np.int64)]
+    return label, np.concatenate(a_out or none), np.concatenate(b_out or none)
 
 
 def _compare(rows: pa.Table, dim: int, least: float, step: int = 512) -> pa.RecordBatch:
@@ -85,7 +99,7 @@ def _compare(rows: pa.Table, dim: int, least: float, step: int = 512) -> pa.Reco
         # Further shares of the visitors meet the members, who have met each other in the first.
         right = np.arange(len(ids)) if rows["m"][0].as_py() == 0 else np.flatnonzero(role == 2)
     sums = np.zeros(len(ids), np.int64)
-    forest, a_out, b_out = _Forest(len(ids)), [], []
+    label, a_out, b_out = np.arange(len(ids)), [np.empty(0, np.int64)], [np.empty(0, np.int64)]
     for at in range(0, len(left), step):
         rows_at = left[at : at + step]
         for to in range(0, len(right), 4 * step):
@@ -99,18 +113,34 @@ def _compare(rows: pa.Table, dim: int, least: float, step: int = 512) -> pa.Reco
             i, j = i[once], j[once]
             np.add.at(sums, i, weight[j])
             np.add.at(sums, j, weight[i])
-            for p, q in zip(i.tolist(), j.tolist(), strict=True):
-                if forest.join(p, q):
-                    a_out.append(int(ids[p]))
-                    b_out.append(int(ids[q]))
+            label, p, q = _joined(label, i, j)
+            a_out.append(p)
+            b_out.append(q)
     some = np.flatnonzero(sums)
-    none = [None] * len(some)
-    return pa.RecordBatch.from_arrays(
-        [pa.array(a_out + ids[some].tolist(), pa.int64()), pa.array(b_out + none, pa.int64()), pa.array([None] * len(a_out) + sums[some].tolist(), pa.int64())], schema=_OUT
-    )
+    p, q = np.concatenate(a_out), np.concatenate(b_out)
+    edges = pa.RecordBatch.from_arrays([pa.array(ids[p]), pa.array(ids[q]), pa.nulls(len(p), pa.int64())], schema=_OUT)
+    counts = pa.RecordBatch.from_arrays([pa.array(ids[some]), pa.nulls(len(some), pa.int64()), pa.array(sums[some])], schema=_OUT)
+    return pa.Table.from_batches([edges, counts]).combine_chunks().to_batches()[0] if len(p) + len(some) else edges
+
+
+def _fit_cells(picked: DataFrame, total: int, cell_rows: int) -> dict[int, np.ndarray]:
+    """Centres by dimension, fitted in one task on the bounded sample."""
 
+    def fit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = sorted((r for batch in batches for r in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True)), key=lambda r: r[0])
+        by_dim: dict[int, list] = {}
+        for _, v in rows:
+            by_dim.setdefault(len(v), []).append(v)
+        centres = {d: spherical_kmeans(np.array(x), max(1, min(-(-total // cell_rows), len(x) // 8))) for d, x in by_dim.items()}
+        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(centres)], pa.binary())], names=["centres"])
 
-def near_vectors(vectors: DataFrame, least: float = 0.93, cell_rows: int = 2000, sample: int = 20_000, block: int = 4096) -> DataFrame:
+    found = picked.repartition(1).mapInArrow(fit, "centres binary").first()
+    return pickle.loads(found["centres"]) if found is not None else {}
+
+
+def near_vectors(
+    vectors: DataFrame, least: float = 0.93, cell_rows: int = 2000, sample: int = 20_000, block: int = 4096, deviations: float | None = 4.0
+) -> DataFrame:
     """Per row: vec_id, n_links, component_id, kept.
 
     Linked are vectors of equal label (and length) with cosine >= ``least`` in
@@ -124,29 +154,29 @@ def near_vectors(vectors: DataFrame, least: float = 0.93, cell_rows: int = 2000,
     against block in tasks of their own, and visitors in shares of about ``4 * block``.
     Vectors without structure rule out few cells, and then all pairs are compared.
     """
-    rows = vectors.select(F.col("vec_id").cast("long"), F.col("label"), F.col("embedding").cast("array<double>"))
+    # Parts that come as floats are moved as floats and compared as doubles.
+    kind = "array<float>" if vectors.schema["embedding"].dataType.simpleString() == "array<float>" else "array<double>"
+    rows = vectors.select(F.col("vec_id").cast("long"), F.col("label"), F.col("embedding").cast(kind))
     usable = rows.where(_usable())
     classes = usable.distinct().groupBy("label", "embedding").agg(F.min("vec_id").alias("rep"), F.count("*").alias("n"))
     classes = stored(classes, "classes")
-    total = classes.count()
-    # k-means on a bounded sample, in the order of a hash.
-    picked = classes.select("rep", "embedding").orderBy(F.xxhash64("rep"), "rep").limit(sample).collect()
-    by_dim: dict[int, list] = {}
-    for r in picked:
-        by_dim.setdefault(len(r["embedding"]), []).append(r["embedding"])
-    centres = {}
-    for dim, members in by_dim.items():
-        cells = max(1, min(-(-total // cell_rows), len(members) // 8, 1024))
-        centres[dim] = spherical_kmeans(np.array(members), cells)
-
+    # Only equal labels are compared, so the largest label decides how many cells there are.
+    total = classes.groupBy("label").agg(F.count("*").alias("m")).agg(F.coalesce(F.max("m"), F.lit(0))).first()[0]
+    centres = _fit_cells(classes.select("rep", "embedding").orderBy(F.xxhash64("rep"), "rep").limit(sample), total, cell_rows)
     apart = {dim: np.stack([np.linalg.norm(c - one, axis=1) for one in c]) for dim, c in centres.items()}
-    # The sine of the angle of ``least``; an obtuse angle rules nothing out.
-    reach = max(0.0, 1 - least * least) ** 0.5 if least > 0 else 2.0
+
+    def reach(dim: int) -> float:
+        """How far from the plane between two centres a vector visits the other cell."""
+        if least <= 0:
+            return 2.0  # an obtuse angle rules nothing out
+        sure = max(0.0, 1 - least * least) ** 0.5
+        return sure if deviations is None or dim < 2 else min(sure, deviations * sure / least / (dim - 1) ** 0.5)
 
     def assign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             found = []
-            for v in batch.column(1).to_numpy(zero_copy_only=False):
+            for v in batch.column(batch.schema.get_field_index("embedding")).to_numpy(zero_copy_only=False):
+                v = v.astype(np.float64)
                 c = centres.get(len(v))
                 if c is None:
                     found.append([0])
@@ -155,12 +185,12 @@ def near_vectors(vectors: DataFrame, least: float = 0.93, cell_rows: int = 2000,
                 v = v / np.abs(v).max()
                 near = c @ (v / np.linalg.norm(v))
                 home = int(near.argmax())
-                visits = np.flatnonzero(near[home] - near[:home] <= reach * apart[len(v)][home, :home] + 1e-9)
+                visits = np.flatnonzero(near[home] - near[:home] <= reach(len(v)) * apart[len(v)][home, :home] + 1e-9)
                 found.append([home, *visits.tolist()])
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.list_(pa.int32()))], names=["rep", "visits"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(found, pa.list_(pa.int32()))], names=[*batch.schema.names, "visits"])
 
-    placed = classes.select("rep", "embedding").mapInArrow(assign, "rep long, visits array<int>")
-    placed = classes.join(placed, "rep").withColumn("dim", F.size("embedding")).withColumn("home", F.get("visits", F.lit(0)))
+    columns = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in classes.schema)
+    placed = classes.mapInArrow(assign, f"{columns}, visits array<int>").withColumn("dim", F.size("embedding")).withColumn("home", F.get("visits", F.lit(0)))
     placed = stored(placed, "placed")
     counts = placed.groupBy("label", "dim", "home").agg(F.ceil(F.count("*") / block).cast("int").alias("parts")).withColumnRenamed("home", "cell")
     counts = stored(counts, "cells")
