@@ -54,17 +54,18 @@ def shingle_sets(texts: pa.Array, width: int) -> Iterator[np.ndarray]:
 class OddSketcher:
     """MinHash samples for bands, and samples folded into parity bitmaps.
 
-    Bands take ``bands * rows`` independent MinHash values.  The bitmaps take the
-    elements with the least hash values: all of a small set, and of a larger one
-    those below a power of two that leaves at most ``most`` or so.  Each sample
-    flips one bit.  Two sets flip the same bits for what they share, so the XOR of
-    two bitmaps holds only what differs, and its population count tells how much.
-    Sets whose powers differ by one are compared at the rarer one, which is why a
-    sketch holds two bitmaps.
+    Bands take ``bands * rows`` independent MinHash values.  The bitmap folds the
+    samples of one more permutation that is dealt into ``bins`` bins: the least
+    value of each bin that holds an element is a sample, and each sample flips the
+    bit that its bin and value point to.  Two sets agree in a bin with the
+    probability of their similarity and flip the same bit there, so the XOR of two
+    bitmaps holds only what differs, and its population count tells how much.
     """
 
-    def __init__(self, bands: int = 20, rows: int = 5, bits: int = 1024, most: int = 1024):
-        self.bands, self.rows, self.bits, self.most = bands, rows, bits, most
+    def __init__(self, bands: int = 20, rows: int = 5, bits: int = 1024, bins: int = 512):
+        if bins & (bins - 1) or bits % 64:
+            raise ValueError("bins must be a power of two and bits a multiple of 64")
+        self.bands, self.rows, self.bits, self.bins = bands, rows, bits, bins
         self.samples = bands * rows
         self.xors, self.factors = odd_numbers(self.samples, 11), odd_numbers(self.samples, 13)
         self.lanes = odd_numbers(rows, 17)
@@ -81,17 +82,20 @@ class OddSketcher:
         keys = (mix(minima).reshape(self.bands, self.rows) * self.lanes).sum(axis=1, dtype=np.uint64)
         return mix(keys ^ self.band_salt).view(np.int64)
 
+    def bin_samples(self, items: np.ndarray) -> np.ndarray:
+        """The least value of every bin that isn't empty; the bin is in the leading digits."""
+        values = np.sort(mix(items ^ np.uint64(0x5851F42D4C957F2D)))
+        shift = np.uint64(64 - (self.bins.bit_length() - 1))
+        bin_of = values >> shift
+        first = np.ones(len(values), bool)
+        first[1:] = bin_of[1:] != bin_of[:-1]
+        return values[first]
+
     def sketch(self, items: np.ndarray) -> bytes:
-        """Two numbers of samples, the power, and two bitmaps."""
-        level = max(0, (len(items) - 1).bit_length() - (self.most - 1).bit_length())
-        hashes = mix(items ^ np.uint64(0x5851F42D4C957F2D))
-        head, maps = [level], []
-        for deep in (level, level + 1):
-            kept = hashes[hashes >> np.uint64(64 - deep) == 0] if deep else hashes
-            odd = np.bincount((kept % np.uint64(self.bits)).astype(np.int64), minlength=self.bits) & 1
-            head.append(len(kept))
-            maps.append(np.packbits(odd.astype(np.uint8)).tobytes())
-        return np.array([*head, 0], np.uint64).tobytes() + b"".join(maps)
+        """The number of elements, that of samples, and the bitmap."""
+        kept = self.bin_samples(items)
+        odd = np.bincount((mix(kept) % np.uint64(self.bits)).astype(np.int64), minlength=self.bits) & 1
+        return np.array([len(items), len(kept)], np.uint64).tobytes() + np.packbits(odd.astype(np.uint8)).tobytes()
 
     def table(self, sketches) -> np.ndarray:
         """Sketches as rows of 64-bit numbers."""
@@ -101,28 +105,25 @@ class OddSketcher:
         """(estimated Jaccard similarity, whether it may be ``percent`` / 100) of one sketch with each other.
 
         The second is False only where the bitmaps differ by five deviations more
-        than at that similarity: the deviation of the bitmap's own collisions and,
-        for sets that aren't taken whole, of the choice of samples.
+        than expected at that similarity: the deviation of the bitmap's own
+        collisions and that of the choice of samples.  Sizes that rule the
+        similarity out by themselves do so as well.
         """
-        width, least = self.bits // 64, percent / 100
-        near, may = np.zeros(len(others)), np.zeros(len(others), bool)
-        level, theirs = int(one[0]), others[:, 0].astype(np.int64)
-        for shift in (-1, 0, 1):
-            rows = np.flatnonzero(theirs - level == shift)
-            if not len(rows):
-                continue
-            mine, other = max(shift, 0), max(-shift, 0)
-            a = one[4 + mine * width : 4 + (mine + 1) * width]
-            b = others[rows, 4 + other * width : 4 + (other + 1) * width]
-            flipped = np.bitwise_count(a ^ b).sum(axis=1, dtype=np.int64)
-            differ = -self.bits / 2 * np.log1p(-np.minimum(2 * flipped / self.bits, 1 - 1e-6))
-            total = float(one[1 + mine]) + others[rows, 1 + other]
-            near[rows] = np.maximum(0, (total - differ) / np.maximum(total + differ, 1))
-            wanted = total * (1 - least) / (1 + least)
-            load = wanted / self.bits
-            odd = (1 - np.exp(-2 * load)) / 2
-            spread = self.bits * np.maximum(odd * (1 - odd) - load * np.exp(-4 * load), 0) * np.exp(4 * load)
-            if level + max(shift, 0):
-                spread = spread + (total + wanted) / 2 * least * (1 - least)
-            may[rows] = differ <= wanted + 5 * np.sqrt(spread) + 1
-        return near, may
+        least = percent / 100
+        mine, theirs = float(one[0]), others[:, 0].astype(np.float64)
+        total = float(one[1]) + others[:, 1]
+        flipped = np.bitwise_count(one[2:] ^ others[:, 2:]).sum(axis=1, dtype=np.int64)
+        differ = -self.bits / 2 * np.log1p(-np.minimum(2 * flipped / self.bits, 1 - 1e-6))
+        # Bins that the union of two sets of that similarity fills.
+        filled = self.bins * -np.expm1(-(mine + theirs) / (1 + least) / self.bins)
+        near = np.clip((total - differ) / 2 / np.maximum(filled, 1), 0, 1)
+        wanted = np.maximum(total - 2 * least * filled, 0)
+        load = wanted / self.bits
+        odd = (1 - np.exp(-2 * load)) / 2
+        spread = self.bits * np.maximum(odd * (1 - odd) - load * np.exp(-4 * load), 0) * np.exp(4 * load)
+        # Where bins hold single elements, nearly all are samples and the choice is no chance.
+        chance = np.sqrt(np.maximum(1 - total / np.maximum(mine + theirs, 1), 0.01))
+        spread = spread + 4 * filled * least * (1 - least) * chance
+        may = differ <= wanted + 5 * np.sqrt(spread) + 1
+        sizes = np.minimum(mine, theirs) * 100 >= percent * np.maximum(mine, theirs)
+        return near, may & sizes
