@@ -22,6 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from pathalgebra.llm.fitting import LONGEST, MOST_CHARS, chosen_keys, fit_in_task
 from pathalgebra.llm.word_features import affixes, letter_matrix, letter_table, ngrams, whole
 from pathalgebra.llm.words import blocks, split_words
 
@@ -240,18 +241,21 @@ def held_out(doc_id: Column, parts: int, which: int) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % parts == which, F.lit(False))
 
 
-def labelled_sample(rows: DataFrame, key: str, limit: int) -> DataFrame:
-    """The ``limit`` rows of the least hashes of ``key``; ids are picked before texts are read."""
-    ids = rows.select(key).where(F.col(key).isNotNull()).distinct().orderBy(F.xxhash64(key), key).limit(limit)
-    chosen = [r[0] for r in ids.collect()]
-    return rows.where(F.col(key).isin(chosen)) if chosen else rows.limit(0)
+def _train_rows(rows: list[tuple]) -> Chain | None:
+    return train_chain([r[1] for r in rows], [r[2] for r in rows])
 
 
-def fit_languages(documents: DataFrame, sample: int = 1500) -> Chain | None:
-    """A field learned on ``sample`` documents at most, of those that aren't held out."""
-    known = documents.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id"), 3, 1)).select("doc_id", "text", "lang")
-    rows = sorted(((r["doc_id"], r["text"], r["lang"]) for r in labelled_sample(known, "doc_id", sample).collect()), key=lambda r: (r[0], r[1], r[2]))
-    return train_chain([r[1] for r in rows], [r[2] for r in rows])
+def fit_languages(documents: DataFrame, sample: int = 1500, longest: int = LONGEST, most_chars: int = MOST_CHARS) -> Chain | None:
+    """A field learned on ``sample`` documents at most, of those that aren't held out.
+
+    Texts of more than ``longest`` characters aren't learned from, and no more than
+    ``most_chars`` characters are.
+    """
+    known = documents.select("doc_id", "text", "lang").where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id"), 3, 1))
+    known = known.where(F.length("text") <= longest)
+    # At most ``sample`` keys, so the broadcast doesn't grow with the documents.
+    rows = known.join(F.broadcast(chosen_keys(known, "doc_id", sample)), F.col("doc_id") == F.col("chosen"), "left_semi")
+    return fit_in_task(rows, _train_rows, most_chars)
 
 
 def language_labels(documents: DataFrame, chain: Chain | None, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:

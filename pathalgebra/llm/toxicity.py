@@ -6,7 +6,7 @@ its character n-grams, each with a weight of evidence, so that new forms of a
 known stem are seen too.  Two gated recurrent layers read a window from either
 end; attention pools their states; the text's score is that of its worst window.
 
-Everything is numpy: training runs on the driver over a bounded sample of
+Everything is numpy: training runs in one task over a bounded sample of
 labelled rows and picks each text's worst window anew in every round.
 """
 
@@ -19,7 +19,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pathalgebra.llm.langid import held_out, labelled_sample
+from pathalgebra.llm.fitting import LONGEST, MOST_CHARS, chosen_keys, fit_in_task
+from pathalgebra.llm.langid import held_out
 from pathalgebra.llm.word_features import affixes, letter_matrix, letter_table, ngrams, whole
 from pathalgebra.llm.words import blocks, ragged, split_words
 
@@ -273,20 +274,26 @@ def score_block(net: Network, texts: pa.Array) -> np.ndarray:
     return sigmoid(most)
 
 
-def fit_toxicity(documents: DataFrame, labels: DataFrame, sample: int = 4000) -> Network:
+def _train_rows(rows: list[tuple]) -> Network:
+    by_text = sorted({text: int(toxic > 0) for _, text, toxic in rows}.items())
+    return train_network([x for x, _ in by_text], [y for _, y in by_text])
+
+
+def fit_toxicity(documents: DataFrame, labels: DataFrame, sample: int = 4000, longest: int = LONGEST, most_chars: int = MOST_CHARS) -> Network:
     """A network learned on ``sample`` labelled documents at most.
 
     Rows whose crc32 of doc_id is a multiple of 5 are held out.  A document with
-    several labels counts as toxic if one of them says so.
+    several labels counts as toxic if one of them says so.  Texts of more than
+    ``longest`` characters aren't learned from, and no more than ``most_chars``
+    characters are.
     """
-    known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"), 5, 0))
-    known = known.groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
-    chosen = {r["doc_id"]: r["toxic"] for r in labelled_sample(known, "doc_id", sample).collect()}
-    if not chosen:
-        return train_network([], [])
-    texts = documents.select("doc_id", "text").where(F.col("doc_id").isin(list(chosen)) & F.col("text").isNotNull()).collect()
-    rows = sorted({r["text"]: int(chosen[r["doc_id"]] > 0) for r in sorted(texts, key=lambda r: r["doc_id"])}.items())
-    return train_network([x for x, _ in rows], [y for _, y in rows])
+    known = labels.select(F.col("doc_id").alias("chosen"), "toxic").where(F.col("toxic").isNotNull() & F.col("chosen").isNotNull() & ~held_out(F.col("chosen"), 5, 0))
+    known = known.groupBy("chosen").agg(F.max("toxic").alias("toxic"))
+    known = known.join(F.broadcast(chosen_keys(known, "chosen", sample)), "chosen")
+    texts = documents.select("doc_id", "text").where(F.col("text").isNotNull() & (F.length("text") <= longest))
+    # At most ``sample`` labels, so the broadcast doesn't grow with the documents.
+    rows = texts.join(F.broadcast(known), F.col("doc_id") == F.col("chosen")).select("doc_id", "text", "toxic")
+    return fit_in_task(rows, _train_rows, most_chars)
 
 
 def toxicity_scores(documents: DataFrame, net: Network, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
