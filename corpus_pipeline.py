@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pathalgebra.llm import langid, mixing, near_dup, packing, toxicity
-from pathalgebra.runtime import stored, table
+from pathalgebra.runtime import kept, scratch, table
 
 #: A document goes if its text has no letter, or if no language has this share of its words.
 LEAST_SHARE = 0.4
@@ -53,5 +53,6 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES:
-        docs = stored(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        with scratch(spark):
+            docs = kept(stage(spark, docs, sf_dir), f"pipeline-{name}")
     return docs
