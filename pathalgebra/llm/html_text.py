@@ -1,13 +1,16 @@
 """Main text of web pages: nearest-URL page differencing, guided by structure.
 
 Pages of a host are sorted by URL path; each is paired with the neighbour whose
-path has the longer beginning in common.  Lines of the two are aligned by longest
-common subsequence, and a page's shared lines are taken for its template.
-
-Differencing alone deletes passages that articles of a site have in common and
-keeps adverts that differ from page to page.  So the structure guides it: lines
-of an ``article`` or ``main`` element are never deleted; where a page has none,
-its lines outside menus, forms and the like stay if they aren't shared.
+path has the longer beginning in common, and the lines of the two are aligned by
+longest common subsequence.  Shared lines are evidence against the element that
+holds them: over all pages of a host, an element (its path of names and classes)
+whose lines are nearly all shared belongs to the template and is deleted whole.  An
+element whose lines are mostly its own keeps what it shares, so articles keep the
+passages that they have in common.
+
+Differencing can't see what differs from page to page without being text of the
+article: adverts, menus of near pages, forms.  Those are told by their elements.  On
+pages without an ``article`` or ``main`` element shared lines go one by one as well.
 """
 
 from __future__ import annotations
@@ -40,19 +43,37 @@ _TAG = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)
 _NAMES = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
 _URL = re.compile(r"^[a-zA-Z][a-zA-Z0-9+.-]*://([^/?#]*)([^?#]*)")
 
-_KEYED = pa.schema([("key", pa.int64()), ("host", pa.string()), ("path", pa.string()), ("article", pa.bool_()), ("lines", pa.list_(pa.int64()))])
+#: Elements that hold passages; the path of those that are open names the place of a line.
+_BOX = frozenset("article aside blockquote details div dl figure footer form header main nav ol section table ul".split())
+_CLASS = re.compile(r"(?:class|id)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
+
+_PARSED = "page_id long, url string, key long, host string, path string, article boolean, lines array<string>, hashes array<long>, boxes array<long>, roles array<int>"
+_PARSED_ARROW = pa.schema([
+    ("page_id", pa.int64()), ("url", pa.string()), ("key", pa.int64()), ("host", pa.string()), ("path", pa.string()), ("article", pa.bool_()),
+    ("lines", pa.list_(pa.string())), ("hashes", pa.list_(pa.int64())), ("boxes", pa.list_(pa.int64())), ("roles", pa.list_(pa.int32())),
+])
+#: Roles of lines: free, inside the article, inside an element that never holds article text.
+FREE, ARTICLE, DROPPED = 0, 1, 2
+
+#: An element is template if nine tenths of its lines are shared, on this many pages of the host at least.
+LEAST_SHARE, LEAST_PAGES = 0.9, 10
+
+
+def _hash(text: str) -> int:
+    return xxhash.xxh3_64_intdigest(text.encode("utf-8", "surrogatepass")) - (1 << 63)
 
 
-def text_lines(source: str | None) -> tuple[list[tuple[str, bool, bool]], bool]:
-    """Lines of a page as (text, inside the article, inside something dropped), and whether it has an article.
+def text_lines(source: str | None) -> tuple[list[tuple[str, int, int]], bool]:
+    """Lines of a page as (text, role, number of the path of open elements), and whether it has an article.
 
     A line is the text between two block borders, with character references
     decoded and white space turned into single blanks.  Unclosed elements are
     closed by the end of the page; a dropped element that was never closed ends
     where the article begins.
     """
-    lines: list[tuple[str, bool, bool]] = []
+    lines: list[tuple[str, int, int]] = []
     held: list[str] = []
+    boxes: list[tuple[str, int]] = [("", 0)]
     source = _RAW.sub(" ", source or "")
     article = 0
     dropped: list[tuple[str, int]] = []  # name of the dropped element, depth of the same name inside
@@ -63,7 +84,7 @@ def text_lines(source: str | None) -> tuple[list[tuple[str, bool, bool]], bool]:
             text = " ".join(entities.unescape("".join(held)).split())
             held.clear()
             if text:
-                lines.append((text, article > 0 and not dropped, bool(dropped)))
+                lines.append((text, DROPPED if dropped else ARTICLE if article else FREE, boxes[-1][1]))
 
     at = 0
     for m in _TAG.finditer(source):
@@ -80,6 +101,16 @@ def text_lines(source: str | None) -> tuple[list[tuple[str, bool, bool]], bool]:
             flush()
         if name in _VOID:
             continue
+        if name in _BOX and not m[3].endswith("/"):
+            if not closing:
+                named = _CLASS.search(m[3])
+                said = re.sub(r"\d+", "0", next(filter(None, named.groups()), "")) if named else ""
+                boxes.append((name, _hash(f"{boxes[-1][1]} {name} {said}")))
+            else:
+                for k in range(len(boxes) - 1, 0, -1):
+                    if boxes[k][0] == name:
+                        del boxes[k:]
+                        break
         if name in ("article", "main"):
             if closing:
                 if not dropped:
@@ -156,30 +187,38 @@ def _common(a: str, b: str) -> int:
 
 
 def _key(page_id: int | None, url: str | None, source: str | None) -> int:
-    said = f"{page_id}\0{url is None}\0{url or ''}\0{source is None}\0".encode() + (source or "").encode()
+    said = f"{page_id}\0{url is None}\0{url or ''}\0{source is None}\0".encode("utf-8", "surrogatepass") + (source or "").encode("utf-8", "surrogatepass")
     return xxhash.xxh3_64_intdigest(said) - (1 << 63)
 
 
-def shared_lines(pages: DataFrame) -> DataFrame:
-    """(key, shared): for pages without an article, the places of template lines.
-
-    One range-partitioned sort by host and path of line hashes.  The first and
-    last page of each partition are sent to all tasks, two rows for each
-    partition, so pairs don't depend on where partitions end.
-    """
+def parsed_pages(pages: DataFrame) -> DataFrame:
+    """Every page's lines with their hashes, elements and roles; pages are parsed here only."""
 
-    def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def parse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out: list[list] = [[], [], [], [], []]
-            for page_id, url, source in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                lines, article = text_lines(source)
-                host, path = _address(url)
-                hashes = [xxhash.xxh3_64_intdigest(x.encode()) - (1 << 63) for x, _, _ in lines]
-                for column, v in zip(out, (_key(page_id, url, source), host, path, article, hashes), strict=True):
-                    column.append(v)
-            yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(out, _KEYED, strict=True)], schema=_KEYED)
-
-    rows = pages.select(F.col("page_id").cast("long"), "url", "html").mapInArrow(keyed, "key long, host string, path string, article boolean, lines array<long>")
+            for at in range(0, len(batch), 500):
+                out: list[list] = [[] for _ in _PARSED_ARROW]
+                for page_id, url, source in zip(*(c.to_pylist() for c in batch.slice(at, 500).columns), strict=True):
+                    lines, article = text_lines(source)
+                    host, path = _address(url)
+                    row = (page_id, url, _key(page_id, url, source), host, path, article, [x for x, _, _ in lines], [_hash(x) for x, _, _ in lines], [b for _, _, b in lines], [r for _, r, _ in lines])
+                    for column, v in zip(out, row, strict=True):
+                        column.append(v)
+                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(out, _PARSED_ARROW, strict=True)], schema=_PARSED_ARROW)
+
+    return pages.select(F.col("page_id").cast("long"), "url", "html").mapInArrow(parse, _PARSED)
+
+
+def shared_lines(parsed: DataFrame) -> DataFrame:
+    """(key, host, box, n, shared, places): what each page shares with its nearest page, by element.
+
+    ``places`` lists the shared lines of an element, on pages without an article.
+    Pages that are alone on their host have no rows.  One range-partitioned sort by
+    host and path of line hashes.  The first and last page of each partition are
+    sent to all tasks, two rows for each partition, so pairs don't depend on where
+    partitions end.
+    """
+    rows = parsed.select("key", "host", "path", "article", "hashes", "boxes", "roles")
     rows = rows.repartitionByRange("host", "path", "key").sortWithinPartitions("host", "path", "key")
     rows = checkpointed(rows)
 
@@ -192,12 +231,12 @@ def shared_lines(pages: DataFrame) -> DataFrame:
         if first is not None:
             part = TaskContext.get().partitionId()
             for side, x in ((0, first), (1, last)):
-                yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([side], pa.int32()), *x.select(["host", "path", "lines"]).columns], names=["part", "side", "host", "path", "lines"])
+                yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([side], pa.int32()), *x.select(["host", "path", "hashes"]).columns], names=["part", "side", "host", "path", "hashes"])
 
-    borders = rows.mapInArrow(ends, "part int, side int, host string, path string, lines array<long>").collect()
+    borders = rows.mapInArrow(ends, "part int, side int, host string, path string, hashes array<long>").collect()
     before, after = {}, {}
     parts = sorted({r["part"] for r in borders})
-    by = {(r["part"], r["side"]): (r["host"], r["path"], list(r["lines"])) for r in borders}
+    by = {(r["part"], r["side"]): (r["host"], r["path"], list(r["hashes"])) for r in borders}
     for p, q in zip(parts, parts[1:], strict=False):
         before[q], after[p] = by[p, 1], by[q, 0]
 
@@ -205,32 +244,75 @@ def shared_lines(pages: DataFrame) -> DataFrame:
         part = TaskContext.get().partitionId()
         previous, current = before.get(part), None
 
-        def differ(page: tuple, left: tuple | None, right: tuple | None) -> tuple[int, list[int]] | None:
-            key, host, path, article, lines = page
+        def differ(page: tuple, left: tuple | None, right: tuple | None) -> list[tuple]:
+            key, host, path, article, hashes, boxes, roles = page
             near = [x for x in (left, right) if x is not None and x[0] == host]
-            if article or not near:
-                return None
+            if not near:
+                return []
             best = max(near, key=lambda x: _common(path, x[1]))
-            return key, sorted(common_lines(lines, best[2]))
+            shared = common_lines(hashes, best[2])
+            by_box: dict[int, list] = {}
+            for k, (box, role) in enumerate(zip(boxes, roles, strict=True)):
+                if role != DROPPED:
+                    own = by_box.setdefault(box, [0, 0, []])
+                    own[0] += 1
+                    if k in shared:
+                        own[1] += 1
+                        if not article:
+                            own[2].append(k)
+            return [(key, host, box, n, m, places) for box, (n, m, places) in by_box.items()]
 
         for batch in batches:
-            found = []
+            found: list[tuple] = []
             for page in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 if current is not None and page[0] == current[0]:
                     continue  # the same page once more
                 if current is not None:
-                    found.append(differ(current, previous, (page[1], page[2], page[4])))
+                    found += differ(current, previous, (page[1], page[2], page[4]))
                     previous = (current[1], current[2], current[4])
                 current = page
             yield as_rows(found)
         if current is not None:
-            yield as_rows([differ(current, previous, after.get(part))])
+            yield as_rows(differ(current, previous, after.get(part)))
+
+    types = (pa.int64(), pa.string(), pa.int64(), pa.int32(), pa.int32(), pa.list_(pa.int32()))
 
-    def as_rows(found: list) -> pa.RecordBatch:
-        found = [x for x in found if x is not None and x[1]]
-        return pa.RecordBatch.from_arrays([pa.array([k for k, _ in found], pa.int64()), pa.array([v for _, v in found], pa.list_(pa.int32()))], names=["key", "shared"])
+    def as_rows(found: list[tuple]) -> pa.RecordBatch:
+        columns = list(zip(*found, strict=True)) or [[]] * 6
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=["key", "host", "box", "n", "shared", "places"])
 
-    return rows.mapInArrow(pair, "key long, shared array<int>").dropDuplicates(["key"])
+    return rows.mapInArrow(pair, "key long, host string, box long, n int, shared int, places array<int>")
+
+
+def template_marks(shared: DataFrame, least_share: float = LEAST_SHARE, least_pages: int = LEAST_PAGES) -> DataFrame:
+    """(key, boxes, places): each page's elements that are template on its host, and its shared lines.
+
+    Only pages with any have a row.  Numbers of elements are counted over all pages
+    of a host; a page's row gathers what that one page holds.
+    """
+    total = shared.groupBy("host", "box").agg(F.sum("n").alias("n"), F.sum("shared").alias("m"), F.count("*").alias("pages"))
+    template = total.where((F.col("m") >= least_share * F.col("n")) & (F.col("pages") >= least_pages)).select("host", "box", F.lit(True).alias("template"))
+    marked = shared.join(template, ["host", "box"], "left").where("template or size(places) > 0")
+    boxes = F.collect_set(F.when(F.col("template"), F.col("box")))
+    return marked.groupBy("key").agg(boxes.alias("marked"), F.flatten(F.collect_set("places")).alias("places"))
+
+
+def main_lines(lines: list[str], roles: list[int], boxes: list[int], article: bool, marked: set[int], places: set[int]) -> list[str]:
+    """The lines of a page that are its main text.
+
+    The element with most of the page's text stays whatever it shares: where it is
+    shared as a whole, the pages are copies of each other.
+    """
+    wanted = ARTICLE if article else FREE
+    size: dict[int, int] = {}
+    for text, role, box in zip(lines, roles, boxes, strict=True):
+        if role == wanted:
+            size[box] = size.get(box, 0) + len(text)
+    main = max(size, key=lambda b: size[b]) if size else None
+    return [
+        text for k, (text, role, box) in enumerate(zip(lines, roles, boxes, strict=True))
+        if role == wanted and (box not in marked or box == main) and (article or k not in places)
+    ]
 
 
 def main_text(pages: DataFrame) -> DataFrame:
@@ -240,29 +322,21 @@ def main_text(pages: DataFrame) -> DataFrame:
     own.  Rows that are equal in all three columns count as one page when pairs
     are made and all appear in the result.  Other columns are ignored.
     """
-    shared = stored(shared_lines(pages), "shared-lines")
+    parsed = stored(parsed_pages(pages), "parsed-pages")
+    marks = stored(template_marks(stored(shared_lines(parsed), "shared-lines")), "template-marks")
+    rows = parsed.select("page_id", "url", "key", "article", "lines", "boxes", "roles")
+    if marks.isEmpty():
+        rows = rows.withColumn("marked", F.lit(None).cast("array<long>")).withColumn("places", F.lit(None).cast("array<int>"))
+    else:
+        rows = rows.join(marks, "key", "left")
 
-    def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def choose(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            found: list[list] = [[], [], [], [], []]
-            for page_id, url, source in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                lines, article = text_lines(source)
-                if article:
-                    kept, places = [x for x, inside, _ in lines if inside], None
-                else:
-                    places = [k for k, (_, _, dropped) in enumerate(lines) if not dropped]
-                    kept = [lines[k][0] for k in places]
-                for column, v in zip(found, (page_id, url, None if article else _key(page_id, url, source), kept, places), strict=True):
-                    column.append(v)
-            types = (pa.int64(), pa.string(), pa.int64(), pa.list_(pa.string()), pa.list_(pa.int32()))
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(found, types, strict=True)], names=["page_id", "url", "key", "kept", "places"])
-
-    rows = pages.select(F.col("page_id").cast("long"), "url", "html").mapInArrow(keys, "page_id long, url string, key long, kept array<string>, places array<int>")
-    if shared.isEmpty():
-        joined = rows.withColumn("shared", F.lit(None).cast("array<int>"))
-    else:
-        joined = rows.join(shared, "key", "left")
-    own = F.filter(F.arrays_zip("kept", "places"), lambda x: ~F.array_contains(F.col("shared"), x["places"]))
-    kept = F.when(F.col("shared").isNull(), F.col("kept")).otherwise(F.transform(own, lambda x: x["kept"]))
-    text = F.array_join(kept, "\n")
-    return joined.select("page_id", "url", text.alias("text")).withColumn("n_chars", F.length("text").cast("long"))
+            for at in range(0, len(batch), 500):
+                part = batch.slice(at, 500)
+                texts = []
+                for article, lines, boxes, roles, marked, places in zip(*(part.column(c).to_pylist() for c in ("article", "lines", "boxes", "roles", "marked", "places")), strict=True):
+                    texts.append("\n".join(main_lines(lines, roles, boxes, article, set(marked or ()), set(places or ()))))
+                yield pa.RecordBatch.from_arrays([part.column("page_id"), part.column("url"), pa.array(texts, pa.string())], names=["page_id", "url", "text"])
+
+    return rows.mapInArrow(choose, "page_id long, url string, text string").withColumn("n_chars", F.length("text").cast("long"))
