@@ -8,9 +8,10 @@ order of training.
 
 Targets share all words by weight, no source above ``most_repeats`` times its
 size; what is over goes to the others by weight until none is above.  Documents
-of a source stand in the order of a hash; each is taken as often as the target
-holds the source's size, and the first ones once more until the rest is used up.
-The last of these is taken in part, so a source meets its target to a word.
+of a source stand in the order of a hash and are passed through again and again;
+every pass of a document stands where the demand reaches the words before it.  A
+pass whose position lies in [0, 1) is taken, the last one in part, so a source meets
+its target to a word.
 """
 
 from __future__ import annotations
@@ -64,10 +65,11 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = (1, 2, 3), most_
 
 
 def mix_sources(documents: DataFrame, weights: tuple[int, ...] = (1, 2, 3), most_repeats: int = 3, buckets: int = 4096) -> DataFrame:
-    """Per document: doc_id, size, source_size, target, taken, position.
+    """Per document: doc_id, size, source_size, target, taken, position, last_position, passes.
 
-    ``taken`` counts words, repeats included; ``position`` in [0, 1] is where the
-    first pass of the document stands in training, null if it isn't taken.
+    ``taken`` counts the words of all passes whose position lies in [0, 1);
+    ``position`` and ``last_position`` are those of the first and the last of these
+    ``passes``, null if there is none.  Documents without words have no pass.
     Null text has no words; a null source is a source of its own, the last one;
     rows that share a doc_id are taken like others.  Where all sizes are 0,
     targets are 0.  Other columns are ignored; no rows give no rows.
@@ -92,19 +94,24 @@ def mix_sources(documents: DataFrame, weights: tuple[int, ...] = (1, 2, 3), most
     within = Window.partitionBy("source", "bucket").orderBy("key", "doc_id", "size").rowsBetween(_NEVER, 0)
     placed = rows.withColumn("upto", F.sum("size").over(within))
     placed = placed.join(starts, F.col("source").eqNullSafe(F.col("s")) & (F.col("bucket") == F.col("b")))
-    goal = F.floor("target").cast("long")
-    passes = F.when(F.col("source_size") > 0, F.expr("cast(floor(target) as bigint) div greatest(source_size, 1)")).otherwise(0)
-    placed = placed.withColumn("before", F.col("start") + F.col("upto") - F.col("size")).withColumn("passes", passes)
-    rest = goal - F.col("passes") * F.col("source_size")
-    part = F.greatest(F.lit(0), F.least(F.col("size"), rest - F.col("before")))
-    placed = placed.withColumn("taken", (F.col("passes") * F.col("size") + part).cast("long"))
-    # Demand up to u is target * ((1 - tilt) * u + tilt * u * u); solved for u.
-    share = F.when(F.col("target") > 0, F.least(F.lit(1.0), F.col("before") / F.col("target"))).otherwise(0.0)
-    a = F.col("tilt")
-    root = F.sqrt((1 - a) * (1 - a) + 4 * a * share)
-    u = F.when(a == 0, share).otherwise((2 * share) / ((1 - a) + root))
-    position = F.when(F.col("taken") > 0, u)
-    return placed.select("doc_id", "size", "source_size", "target", "taken", position.alias("position"))
+    placed = placed.withColumn("goal", F.floor("target").cast("long")).withColumn("before", F.col("start") + F.col("upto") - F.col("size"))
+    # Where each pass begins in the source's words; those that begin before the goal are taken.
+    begins = F.transform(F.sequence(F.lit(0), F.lit(most_repeats)), lambda k: F.col("before") + k * F.col("source_size"))
+    placed = placed.withColumn("begins", F.when(F.col("size") > 0, F.filter(begins, lambda at: at < F.col("goal"))).otherwise(F.array().cast("array<bigint>")))
+    part = F.aggregate("begins", F.lit(0).cast("long"), lambda acc, at: acc + F.least(F.col("size"), F.col("goal") - at))
+    place = F.transform("begins", lambda at: F.round(training_position(at, F.col("target"), F.col("tilt")), 9))
+    placed = placed.withColumn("taken", part).withColumn("places", place).withColumn("passes", F.size("begins").cast("long"))
+    return placed.select("doc_id", "size", "source_size", "target", "taken", F.get("places", F.lit(0)).alias("position"), F.get("places", F.col("passes").cast("int") - 1).alias("last_position"), "passes")
+
+
+def training_position(words: Column, target: Column, tilt: Column) -> Column:
+    """Where in [0, 1] the demand of a source reaches ``words``.
+
+    The demand up to u is target * ((1 - tilt) * u + tilt * u * u); this is its inverse.
+    """
+    share = F.when(target > 0, F.least(F.lit(1.0), words / target)).otherwise(0.0)
+    root = F.sqrt((1 - tilt) * (1 - tilt) + 4 * tilt * share)
+    return F.when(tilt == 0, share).otherwise((2 * share) / ((1 - tilt) + root))
 
 
 def training_order(mixed: DataFrame, untaken: bool = False) -> DataFrame:
@@ -144,14 +151,11 @@ def repeat_by_mix(documents: DataFrame, weights: tuple[int, ...] = (1, 2, 3), mo
     joined = joined.select(*columns, (whole + F.coalesce((key <= F.col("last")).cast("int"), F.lit(0))).alias("_times"), key.alias("_key"), "source_size", "target", "tilt")
     joined = joined.where("_times > 0").withColumn("_pass", F.explode(F.sequence(F.lit(0).cast("long"), F.col("_times") - 1)))
     part = F.conv(F.substring("_key", 1, 8), 16, 10).cast("double") / float(1 << 32)
-    share = F.least(F.lit(1.0), (F.col("_pass") + part) * F.col("source_size") / F.col("target"))
-    a = F.col("tilt")
-    root = F.sqrt((1 - a) * (1 - a) + 4 * a * share)
-    placed = joined.withColumn("_at", F.when(a == 0, share).otherwise((2 * share) / ((1 - a) + root)))
+    placed = joined.withColumn("_at", training_position((F.col("_pass") + part) * F.col("source_size"), F.col("target"), F.col("tilt")))
     return placed.repartitionByRange("_at", "_key").sortWithinPartitions("_at", "_key").select(*documents.columns)
 
 
-#: The rows of mix_sources() but position, for the default parameters.
+#: The rows of mix_sources() for the default parameters.
 SQL = r"""
 WITH d AS (
   SELECT doc_id, source, md5(coalesce(CAST(doc_id AS VARCHAR), '')) AS key,
@@ -166,15 +170,18 @@ r AS (SELECT *, row_number() OVER o AS pos,
         (SELECT sum(source_size) FROM s) AS all_words
       FROM c WINDOW o AS (ORDER BY cap * (6 // weight), rnk)),
 f AS (SELECT * FROM r WHERE cap * heavy >= weight * (all_words - capped) ORDER BY pos LIMIT 1),
-t AS (SELECT r.source, r.source_size,
+t AS (SELECT r.source, r.source_size, 0.5 * (r.weight - 2) AS tilt,
         CASE WHEN r.pos < f.pos THEN CAST(r.cap AS DOUBLE)
              ELSE CAST(r.weight * (f.all_words - f.capped) AS DOUBLE) / CAST(f.heavy AS DOUBLE) END AS target
       FROM r, f),
-p AS (SELECT d.doc_id, d.size, t.source_size, t.target, CAST(floor(t.target) AS BIGINT) AS goal,
+p AS (SELECT d.doc_id, d.size, t.source_size, t.target, CAST(t.tilt AS DOUBLE) AS tilt, CAST(floor(t.target) AS BIGINT) AS goal,
         CAST(sum(d.size) OVER (PARTITION BY d.source ORDER BY d.key, d.doc_id, d.size ROWS UNBOUNDED PRECEDING) - d.size AS BIGINT) AS before
-      FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source)
-SELECT doc_id, size, source_size, target,
-  CAST(CASE WHEN source_size = 0 THEN 0 ELSE (goal // source_size) * size
-    + greatest(0, least(size, goal - (goal // source_size) * source_size - before)) END AS BIGINT) AS taken
-FROM p
+      FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source),
+q AS (SELECT *, CASE WHEN size = 0 OR goal <= before THEN 0 ELSE 1 + (goal - 1 - before) // source_size END AS passes FROM p),
+e AS (SELECT *, least(1.0::DOUBLE, CAST(before AS DOUBLE) / target) AS s1, least(1.0::DOUBLE, CAST(before + (passes - 1) * source_size AS DOUBLE) / target) AS s2 FROM q)
+SELECT doc_id, size, source_size, target, passes,
+  CAST(CASE WHEN passes = 0 THEN 0 ELSE (passes - 1) * size + least(size, goal - before - (passes - 1) * source_size) END AS BIGINT) AS taken,
+  CASE WHEN passes > 0 THEN round(CASE WHEN tilt = 0 THEN s1 ELSE 2 * s1 / ((1 - tilt) + sqrt((1 - tilt) * (1 - tilt) + 4 * tilt * s1)) END, 9) END AS position,
+  CASE WHEN passes > 0 THEN round(CASE WHEN tilt = 0 THEN s2 ELSE 2 * s2 / ((1 - tilt) + sqrt((1 - tilt) * (1 - tilt) + 4 * tilt * s2)) END, 9) END AS last_position
+FROM e
 """

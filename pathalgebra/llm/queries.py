@@ -23,7 +23,7 @@ def op2_crf_language(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op3_curriculum(spark: SparkSession, sf_dir: str) -> DataFrame:
     # Stored first: the range sort reads its input twice, once for the borders.
     mixed = stored(mixing.mix_sources(table(spark, sf_dir, "documents")), "mixed")
-    return mixing.training_order(mixed, untaken=True).drop("position")
+    return mixing.training_order(mixed, untaken=True)
 
 
 def op4_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
