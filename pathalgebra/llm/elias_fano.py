@@ -17,10 +17,23 @@ _HEAD = struct.Struct("<4sQQBII")
 _MAGIC = b"EF01"
 
 
+def _byte_places() -> np.ndarray:
+    """The place of the k-th bit that is set, for every byte."""
+    out = np.zeros((256, 8), np.int64)
+    for byte in range(256):
+        for k, place in enumerate(p for p in range(8) if byte >> p & 1):
+            out[byte, k] = place
+    return out
+
+
+_SELECT_IN_BYTE = _byte_places()
+
+
 class EliasFano:
     def __init__(self, n: int, universe: int, low_bits: int, low: np.ndarray, high: np.ndarray, marks: np.ndarray):
         self.n, self.universe, self.low_bits = n, universe, low_bits
         self.low, self.high, self.marks = low, high, marks
+        self._sums: np.ndarray | None = None
 
     @classmethod
     def encode(cls, values: np.ndarray) -> EliasFano:
@@ -70,6 +83,27 @@ class EliasFano:
         position = byte * 8 + int(np.flatnonzero(bits)[left])
         return ((position - i) << self.low_bits) | int(self._lower(np.array([i]))[0])
 
+    def select_many(self, places: np.ndarray) -> np.ndarray:
+        """The numbers at many places at once, from sums of the upper part's bytes."""
+        places = np.asarray(places, np.int64)
+        if self._sums is None:
+            self._sums = np.cumsum(np.bitwise_count(self.high), dtype=np.int64)
+        byte = np.searchsorted(self._sums, places, side="right")
+        left = places - np.where(byte > 0, self._sums[byte - 1], 0)
+        position = byte * 8 + _SELECT_IN_BYTE[self.high[byte], left]
+        return ((position - places) << self.low_bits) | self._lower(places)
+
+    def place_of(self, value: int) -> int:
+        """The first place whose number isn't below ``value``, by halving with select."""
+        low, high = 0, self.n
+        while low < high:
+            middle = (low + high) // 2
+            if self.select(middle) < value:
+                low = middle + 1
+            else:
+                high = middle
+        return low
+
     def decode(self) -> np.ndarray:
         ones = np.flatnonzero(np.unpackbits(self.high, bitorder="little"))[: self.n]
         index = np.arange(self.n)

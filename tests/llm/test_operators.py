@@ -10,6 +10,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
+from pathalgebra import runtime
 from pathalgebra.llm import elias_fano, html_text, langid, licenses, mixing, near_dup, packing, quality, token_store, toxicity, vectors
 from pathalgebra.llm.tokens import WordEncoder, tokenizer_path
 
@@ -43,6 +44,7 @@ def test_elias_fano():
         v = np.sort(rng.integers(0, top + 1, n))
         e = elias_fano.EliasFano.from_bytes(elias_fano.EliasFano.encode(v).to_bytes())
         assert (e.decode() == v).all() and all(e.select(i) == v[i] for i in range(0, n, 13))
+        assert (e.select_many(np.arange(n)) == v).all() and all(e.place_of(int(x)) == np.searchsorted(v, x) for x in v[::37])
 
 
 def test_words_are_encoded_as_whole_texts():
@@ -53,8 +55,8 @@ def test_words_are_encoded_as_whole_texts():
 
 def test_token_store(docs, nothing):
     encoder = WordEncoder(tokenizer_path(), 1)
-    rows = [r for r in docs.select("doc_id", "text").collect() if r.doc_id is not None]
-    rows.sort(key=lambda r: (r.doc_id, r.text is not None, r.text or ""))
+    rows = docs.select("doc_id", "text").collect()
+    rows.sort(key=lambda r: (r.doc_id is not None, r.doc_id or 0, r.text is not None, r.text or ""))
     got = sorted(token_store.encode_corpus(docs).collect(), key=lambda r: r.start)
     start = 0
     for r, g in zip(rows, got, strict=True):
@@ -62,6 +64,12 @@ def test_token_store(docs, nothing):
         assert (g.doc_id, g.start, g.n_tokens, g.ids_crc32) == (r.doc_id, start, len(ids), zlib.crc32(ids.astype("<u4").tobytes()))
         start += len(ids)
     assert token_store.encode_corpus(nothing).count() == 0
+    path = runtime.fresh_path(docs.sparkSession, "store")
+    token_store.write_token_store(docs, path, segment_tokens=500)
+    found = token_store.tokens_of(docs.sparkSession, path, [3, 4, 12, 99]).collect()
+    assert sorted(r.doc_id for r in found) == [3, 4, 4, 12]
+    for r in found:
+        assert r.ids == next(iter(encoder.encode(pa.array([TEXTS[r.doc_id]], pa.string())))).tolist()
 
 
 def test_packing(docs, nothing):
