@@ -2,12 +2,17 @@
 
 The sample is bounded three ways, all of them parameters: in rows, in characters
 of a single text, and in characters of all texts together.  One task learns; the
-driver handles nothing but the finished weights.
+driver handles nothing but the finished weights.  Learning takes far more memory
+than scoring, and Spark's Python workers live on: so the task learns in a process
+of its own, whose memory goes with it.
 """
 
 from __future__ import annotations
 
+import os
 import pickle
+import subprocess
+import sys
 from collections.abc import Callable, Iterator
 from typing import Any
 
@@ -29,6 +34,18 @@ def chosen_keys(rows: DataFrame, key: str, limit: int) -> DataFrame:
     return stored(keys.orderBy(F.xxhash64("chosen"), "chosen").limit(limit), "chosen")
 
 
+_CHILD = "import pickle, sys; train, rows = pickle.load(sys.stdin.buffer); sys.stdout.buffer.write(pickle.dumps(train(rows)))"
+
+
+def _in_own_process(train: Callable[[list[tuple]], Any], rows: list[tuple]) -> bytes:
+    """The pickled result of ``train``, which is a function of a module."""
+    given = pickle.dumps((train, rows))
+    rows.clear()
+    paths = os.pathsep.join(p for p in sys.path if p)
+    done = subprocess.run([sys.executable, "-c", _CHILD], input=given, stdout=subprocess.PIPE, check=True, env=os.environ | {"PYTHONPATH": paths})
+    return done.stdout
+
+
 def fit_in_task(rows: DataFrame, train: Callable[[list[tuple]], Any], most_chars: int = MOST_CHARS) -> Any:
     """``train`` of the rows (key, text, label), in the order of a hash of the key, run in one task.
 
@@ -46,7 +63,7 @@ def fit_in_task(rows: DataFrame, train: Callable[[list[tuple]], Any], most_chars
                 if total > most_chars:
                     break
                 held.append(row)
-        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(train(sorted(held)))], pa.binary())], names=["model"])
+        yield pa.RecordBatch.from_arrays([pa.array([_in_own_process(train, sorted(held))], pa.binary())], names=["model"])
 
     ordered = rows.where(F.col(text).isNotNull() & F.col(label).isNotNull()).repartition(1).sortWithinPartitions(F.xxhash64(key), key, text, label)
     found = ordered.mapInArrow(learn, "model binary").first()
