@@ -1,41 +1,81 @@
 """Transitive closures: squaring, linear, two-pass quadrants, components, restricted.
 
 Loops run on the driver; a round is a join, a ``distinct`` and an anti-join with
-what is known, cut from its lineage by a reliable checkpoint.  The rounds work
-on new pairs only.
+what is known.  What is known lies in a table bucketed by both ends to which every
+round appends its new pairs: nothing that was written is written or shuffled again.
+Where the other factor stays the same, it is bucketed by its rows once.
 """
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable, Iterator
 
 import pandas as pd
+from pyspark import InheritableThread
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from pathalgebra.operators import matrix as m
 from pathalgebra.operators.components import LEAF_ONES, factored_closure, leaf_closure
-from pathalgebra.runtime import checkpointed
-
-
-def _new(found: DataFrame, seen: DataFrame) -> DataFrame:
-    known = seen.select(F.col("r").alias("kr"), F.col("c").alias("kc"))
-    return found.join(known, (F.col("r") == F.col("kr")) & (F.col("c") == F.col("kc")), "left_anti")
-
-
-def _fixpoint(seen: DataFrame, step: Callable[[DataFrame, DataFrame], DataFrame], most_rounds: int | None = None, report: list | None = None) -> DataFrame:
-    """Grow ``seen`` by ``step(seen, fresh)`` until a round adds nothing."""
-    seen = fresh = checkpointed(seen)
-    rounds = 0
-    while most_rounds is None or rounds < most_rounds:
-        fresh = checkpointed(_new(step(seen, fresh), seen))
+from pathalgebra.runtime import checkpointed, fresh_path
+
+
+class _Known:
+    """Pairs found so far, in a table bucketed by (r, c); each round is a partition."""
+
+    def __init__(self, first: DataFrame):
+        self.spark = first.sparkSession
+        self.name, self.path, self.round = f"pairs_{uuid.uuid4().hex}", fresh_path(self.spark, "pairs"), 0
+        self.buckets = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+        self._add(first)
+
+    def _add(self, pairs: DataFrame) -> None:
+        out = pairs.select("r", "c", F.lit(self.round).alias("round")).write.mode("append").option("path", self.path)
+        out.partitionBy("round").bucketBy(self.buckets, "r", "c").saveAsTable(self.name)
+        self.spark.catalog.refreshTable(self.name)
+
+    def fresh(self) -> DataFrame:
+        return self.spark.table(self.name).where(F.col("round") == self.round).select("r", "c")
+
+    def all(self) -> DataFrame:
+        return self.spark.table(self.name).select("r", "c")
+
+    def grow(self, found: DataFrame) -> DataFrame:
+        """Append the pairs of ``found`` that aren't known; they are the new ``fresh`` ones."""
+        known = self.all().select(F.col("r").alias("kr"), F.col("c").alias("kc"))
+        new = found.join(known, (F.col("r") == F.col("kr")) & (F.col("c") == F.col("kc")), "left_anti")
+        self.round += 1
+        self._add(new)
+        return self.fresh()
+
+    def close(self) -> DataFrame:
+        """All pairs; the table's name goes, its files stay."""
+        self.spark.sql(f"DROP TABLE IF EXISTS {self.name}")
+        return self.spark.read.schema("r long, c long, round int").parquet(self.path).select("r", "c")
+
+
+def _by_rows(a: DataFrame) -> tuple[DataFrame, Callable[[], None]]:
+    """A factor bucketed by its rows, and what removes the table's name."""
+    spark = a.sparkSession
+    name = f"factor_{uuid.uuid4().hex}"
+    buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    a.select("r", "c").write.option("path", fresh_path(spark, "factor")).bucketBy(buckets, "r").saveAsTable(name)
+    return spark.table(name), lambda: spark.sql(f"DROP TABLE IF EXISTS {name}")
+
+
+def _fixpoint(seen: DataFrame, step: Callable[[DataFrame, DataFrame], DataFrame], most_rounds: int | None = None, report: list | None = None, stop: Callable[[DataFrame], bool] | None = None) -> DataFrame:
+    """Grow ``seen`` by ``step(seen, fresh)`` until a round adds nothing or ``stop`` says so."""
+    known = _Known(seen)
+    fresh, rounds = known.fresh(), 0
+    while (most_rounds is None or rounds < most_rounds) and not (stop is not None and stop(fresh)):
+        fresh = known.grow(step(known.all(), fresh))
         rounds += 1
         if report is not None:
             report.append(fresh.count())
         if fresh.isEmpty():
             break
-        seen = checkpointed(seen.unionByName(fresh))
-    return seen
+    return known.close()
 
 
 def _squaring(a: DataFrame, report: list | None) -> DataFrame:
@@ -48,12 +88,41 @@ def _squaring(a: DataFrame, report: list | None) -> DataFrame:
 
 
 def _linear(a: DataFrame, report: list | None) -> DataFrame:
-    a = checkpointed(a)
-    return _fixpoint(a, lambda seen, fresh: m.product(fresh, a), report=report)
-
-
-def _bisect(a: DataFrame, leaf_ones: int, variant: str) -> DataFrame:
-    """Two passes over quadrants: first paths through low nodes, then through high ones."""
+    a, done = _by_rows(a)
+    try:
+        return _fixpoint(a, lambda seen, fresh: m.product(fresh, a), report=report)
+    finally:
+        done()
+
+
+def _together(*jobs: Callable[[], DataFrame]) -> list[DataFrame]:
+    """Independent steps as concurrent Spark jobs, each in a thread that inherits the caller's job properties."""
+    out: list = [None] * len(jobs)
+    failed: list[BaseException] = []
+
+    def run(k: int) -> None:
+        try:
+            out[k] = jobs[k]()
+        except BaseException as error:  # noqa: BLE001 - handed to the caller below
+            failed.append(error)
+
+    threads = [InheritableThread(target=run, args=(k,)) for k in range(len(jobs))]
+    for t in threads:
+        t.start()
+    for t in threads:
+        t.join()
+    if failed:
+        raise failed[0]
+    return out
+
+
+def _bisect(a: DataFrame, leaf_ones: int, variant: str, parallel_levels: int = 0) -> DataFrame:
+    """Two passes over quadrants: first paths through low nodes, then through high ones.
+
+    In the top ``parallel_levels`` levels the quadrants that don't depend on each
+    other are worked out by concurrent jobs: in the first pass the south-west one
+    beside the north-east one, in the second likewise.
+    """
     a = checkpointed(a)
     if a.count() <= leaf_ones:
         return checkpointed(leaf_closure(a))
@@ -65,23 +134,26 @@ def _bisect(a: DataFrame, leaf_ones: int, variant: str) -> DataFrame:
     cut = cut if cut < high else cut - 1
     nw, ne = a.where(f"r <= {cut} and c <= {cut}"), a.where(f"r <= {cut} and c > {cut}")
     sw, se = a.where(f"r > {cut} and c <= {cut}"), a.where(f"r > {cut} and c > {cut}")
+
+    def both(first: Callable[[], DataFrame], second: Callable[[], DataFrame]) -> list[DataFrame]:
+        steps = [lambda: checkpointed(first()), lambda: checkpointed(second())]
+        return _together(*steps) if parallel_levels > 0 else [step() for step in steps]
+
     # First pass: what lies on the way may be a low node.
-    nw1 = _bisect(nw, leaf_ones, variant)
-    ne1 = checkpointed(m.union(ne, m.product(nw1, ne)))
-    sw1 = checkpointed(m.union(sw, m.product(sw, nw1)))
+    nw1 = _bisect(nw, leaf_ones, variant, parallel_levels - 1)
+    ne1, sw1 = both(lambda: m.union(ne, m.product(nw1, ne)), lambda: m.union(sw, m.product(sw, nw1)))
     through = m.product(sw, ne1) if variant == "left" else m.product(sw1, ne)
     se1 = m.union(se, through)
     # Second pass: or a high node.
-    se2 = _bisect(se1, leaf_ones, variant)
-    sw2 = checkpointed(m.union(sw1, m.product(se2, sw1)))
-    ne2 = checkpointed(m.union(ne1, m.product(ne1, se2)))
+    se2 = _bisect(se1, leaf_ones, variant, parallel_levels - 1)
+    sw2, ne2 = both(lambda: m.union(sw1, m.product(se2, sw1)), lambda: m.union(ne1, m.product(ne1, se2)))
     back = m.product(ne2, sw1) if variant == "left" else m.product(ne1, sw2)
     nw2 = m.union(nw1, back)
     return checkpointed(nw2.unionByName(ne2).unionByName(sw2).unionByName(se2))
 
 
 def closure(
-    a: DataFrame, method: str = "auto", nodes: DataFrame | None = None, leaf_ones: int = LEAF_ONES, variant: str = "left", report: list | None = None
+    a: DataFrame, method: str = "auto", nodes: DataFrame | None = None, leaf_ones: int = LEAF_ONES, variant: str = "left", report: list | None = None, parallel_levels: int = 0
 ) -> DataFrame:
     """Pairs joined by one or more steps; with ``nodes``, by none as well.
 
@@ -97,7 +169,7 @@ def closure(
     elif method == "linear":
         out = _linear(a, report)
     elif method == "bisect":
-        out = _bisect(a, leaf_ones, variant)
+        out = _bisect(a, leaf_ones, variant, parallel_levels)
     elif method == "components":
         out = factored_closure(a, leaf_ones).pairs()
     elif method == "leaf":
@@ -107,25 +179,37 @@ def closure(
     return out if nodes is None else m.union(m.identity(nodes), out)
 
 
-def _walk(a: DataFrame, seeds: DataFrame, most_steps: int | None) -> DataFrame:
-    """Pairs (r, c): c is reached from a seed's c by up to ``most_steps`` steps, at least one. One task."""
+def _walk(factors: list[DataFrame], seeds: DataFrame, most_steps: int | None) -> DataFrame:
+    """Pairs (r, c): c is reached from a seed's c by up to ``most_steps`` steps, at least one. One task.
+
+    A step goes through all ``factors`` in turn.
+    """
+    places = len(factors)
+    last = places - 1
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        out: dict[int, list[int]] = {}
+        out: list[dict[int, list[int]]] = [{} for _ in range(places)]
         starts: dict[int, set[int]] = {}
         for f in frames:
-            for r, c, seed in zip(f["r"].tolist(), f["c"].tolist(), f["seed"].tolist(), strict=True):
-                if seed:
+            for r, c, k in zip(f["r"].tolist(), f["c"].tolist(), f["factor"].tolist(), strict=True):
+                if k < 0:
                     starts.setdefault(r, set()).add(c)
                 else:
-                    out.setdefault(r, []).append(c)
+                    out[k].setdefault(r, []).append(c)
         rows: list[int] = []
         cols: list[int] = []
         for r, first in starts.items():
             found: set[int] = set()
+            passed: list[set[int]] = [set() for _ in range(last)]
             frontier, steps = first, 0
             while frontier and (most_steps is None or steps < most_steps):
-                frontier = {c for v in frontier for c in out.get(v, ())} - found
+                for k, follow in enumerate(out):
+                    frontier = {c for v in frontier for c in follow.get(v, ())}
+                    if k < last and most_steps is None:
+                        # What has been passed at this place before leads nowhere new.
+                        frontier -= passed[k]
+                        passed[k] |= frontier
+                frontier -= found
                 found |= frontier
                 steps += 1
             rows += [r] * len(found)
@@ -135,26 +219,61 @@ def _walk(a: DataFrame, seeds: DataFrame, most_steps: int | None) -> DataFrame:
                 rows, cols = [], []
         yield pd.DataFrame({"r": rows, "c": cols}, dtype="int64")
 
-    both = a.select("r", "c", F.lit(False).alias("seed")).unionByName(seeds.select("r", "c", F.lit(True).alias("seed")))
+    both = seeds.select("r", "c", F.lit(-1).alias("factor"))
+    for k, a in enumerate(factors):
+        both = both.unionByName(a.select("r", "c", F.lit(k).alias("factor")))
     return both.coalesce(1).mapInPandas(run, "r long, c long")
 
 
-def closure_apply(a: DataFrame, seed: DataFrame, side: str = "left", reflexive: bool = False, most_steps: int | None = None, leaf_ones: int = LEAF_ONES) -> DataFrame:
+def _factors(a: DataFrame | list[DataFrame]) -> list[DataFrame]:
+    return [x.select("r", "c") for x in (a if isinstance(a, list) else [a])]
+
+
+def _turned(a: DataFrame | list[DataFrame]) -> list[DataFrame]:
+    return [m.transpose(x) for x in reversed(_factors(a))]
+
+
+def _small(frames: list[DataFrame], most: int) -> bool:
+    """Whether all together have at most so many rows, without counting further."""
+    if most <= 0:
+        return False
+    rows = frames[0].select("r")
+    for x in frames[1:]:
+        rows = rows.unionByName(x.select("r"))
+    return rows.limit(most + 1).count() <= most
+
+
+def closure_apply(
+    a: DataFrame | list[DataFrame], seed: DataFrame, side: str = "left", reflexive: bool = False, most_steps: int | None = None, leaf_ones: int = LEAF_ONES,
+    stop: Callable[[DataFrame], bool] | None = None,
+) -> DataFrame:
     """Seed times closure (``left``) or closure times seed (``right``), without the closure.
 
-    The seed is a factor already restricted or small.  ``reflexive`` keeps the
-    seed itself.  Rounds follow the frontier; a base of at most ``leaf_ones`` ones
-    is walked in one task, as a long chain would need a job for each step.
+    The seed is a factor already restricted or small.  ``a`` may be a list of
+    factors whose product is closed; it is never worked out, as a round goes through
+    the factors one after the other.  ``reflexive`` keeps the seed itself.  Rounds
+    follow the frontier; factors and a seed of at most ``leaf_ones`` ones are walked
+    in one task, as a long chain would need a job for each step.
     """
     if side == "right":
-        return m.transpose(closure_apply(m.transpose(a), m.transpose(seed), "left", reflexive, most_steps, leaf_ones))
-    a, seed = checkpointed(a.select("r", "c")), checkpointed(seed.select("r", "c"))
-    if a.count() + seed.count() <= leaf_ones:
-        found = _walk(a, seed, most_steps)
+        return m.transpose(closure_apply(_turned(a), m.transpose(seed), "left", reflexive, most_steps, leaf_ones, stop))
+    factors, seed = _factors(a), checkpointed(seed.select("r", "c"))
+    if _small([*factors, seed], leaf_ones):
+        found = _walk(factors, seed, most_steps)
     else:
-        first = m.product(seed, a)
-        rest = None if most_steps is None else most_steps - 1
-        found = _fixpoint(first, lambda seen, fresh: m.product(fresh, a), rest)
+        ready = [_by_rows(x) for x in factors]
+        try:
+
+            def step(frontier: DataFrame) -> DataFrame:
+                for x, _ in ready:
+                    frontier = m.product(frontier, x)
+                return frontier
+
+            rest = None if most_steps is None else most_steps - 1
+            found = _fixpoint(step(seed), lambda seen, fresh: step(fresh), rest, stop=stop)
+        finally:
+            for _, done in ready:
+                done()
     return m.union(found, seed) if reflexive else found
 
 
@@ -162,34 +281,30 @@ def _cell(spark, r: int, c: int) -> DataFrame:
     return spark.createDataFrame([(r, c)], "r long, c long")
 
 
-def closure_from(a: DataFrame, row: int, reflexive: bool = False, most_steps: int | None = None, leaf_ones: int = LEAF_ONES) -> DataFrame:
+def closure_from(a: DataFrame | list[DataFrame], row: int, reflexive: bool = False, most_steps: int | None = None, leaf_ones: int = LEAF_ONES) -> DataFrame:
     """One row of the closure, from that row alone."""
-    return closure_apply(a, _cell(a.sparkSession, row, row), "left", reflexive, most_steps, leaf_ones)
+    return closure_apply(a, _cell(_factors(a)[0].sparkSession, row, row), "left", reflexive, most_steps, leaf_ones)
 
 
-def closure_to(a: DataFrame, col: int, reflexive: bool = False, most_steps: int | None = None, leaf_ones: int = LEAF_ONES) -> DataFrame:
+def closure_to(a: DataFrame | list[DataFrame], col: int, reflexive: bool = False, most_steps: int | None = None, leaf_ones: int = LEAF_ONES) -> DataFrame:
     """One column of the closure."""
-    return closure_apply(a, _cell(a.sparkSession, col, col), "right", reflexive, most_steps, leaf_ones)
+    return closure_apply(a, _cell(_factors(a)[0].sparkSession, col, col), "right", reflexive, most_steps, leaf_ones)
 
 
-def reachable(a: DataFrame, row: int, col: int, reflexive: bool = False, leaf_ones: int = LEAF_ONES) -> DataFrame:
+def reachable(a: DataFrame | list[DataFrame], row: int, col: int, reflexive: bool = False, leaf_ones: int = LEAF_ONES) -> DataFrame:
     """The cell (row, col) of the closure as a matrix of at most one one.
 
     Starts at the emptier end and stops as soon as the cell is set.
     """
-    a = checkpointed(a.select("r", "c"))
-    ahead, behind = a.agg(F.count_if(F.col("r") == row), F.count_if(F.col("c") == col)).first()
+    factors = _factors(a)
+    spark = factors[0].sparkSession
     if reflexive and row == col:
-        return _cell(a.sparkSession, row, col)
+        return _cell(spark, row, col)
+    ahead = factors[0].where(F.col("r") == row).count()
+    behind = factors[-1].where(F.col("c") == col).count()
     forward = ahead <= behind
-    base = a if forward else m.transpose(a)
+    base = factors if forward else _turned(factors)
     start, goal = (row, col) if forward else (col, row)
-    if a.count() <= leaf_ones:
-        seen = closure_from(base, start, leaf_ones=leaf_ones)
-    else:
-        seen = fresh = checkpointed(m.restrict(base, row=start))
-        while not fresh.isEmpty() and fresh.where(F.col("c") == goal).isEmpty():
-            fresh = checkpointed(_new(m.product(fresh, base), seen))
-            seen = checkpointed(seen.unionByName(fresh))
+    seen = closure_apply(base, _cell(spark, start, start), leaf_ones=leaf_ones, stop=lambda fresh: not fresh.where(F.col("c") == goal).isEmpty())
     hit = m.restrict(seen, col=goal)
     return hit if forward else m.transpose(hit)

@@ -14,6 +14,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pathalgebra.operators.contraction import connected
 from pathalgebra.runtime import checkpointed
 
 #: A matrix of at most so many ones may be solved in one task.
@@ -66,14 +67,21 @@ def strong_components(edges: list[tuple[int, int]]) -> dict[int, int]:
     return comp
 
 
-def closure_pairs(edges: list[tuple[int, int]]) -> Iterator[tuple[int, list[int]]]:
-    """(node, all it reaches in one or more steps) through components and bit sets."""
+#: Targets whose sets are worked out together; a component holds as many bits at a time.
+_TARGETS = 4096
+
+
+def closure_pairs(edges: list[tuple[int, int]], share: int = 0, shares: int = 1) -> Iterator[tuple[int, list[int]]]:
+    """(node, some of what it reaches in one or more steps), through components and bit sets.
+
+    Targets are taken in blocks, so memory is the graph's and one block's bits for
+    each component, however many ones the closure has.  ``share`` of ``shares``
+    takes every so many blocks only.
+    """
     comp = strong_components(edges)
     members: dict[int, list[int]] = {}
     for v, k in comp.items():
         members.setdefault(k, []).append(v)
-    nodes = list(comp)
-    place = {v: i for i, v in enumerate(nodes)}
     after: dict[int, set[int]] = {k: set() for k in members}
     cyclic = {k for k, v in members.items() if len(v) > 1}
     for r, c in edges:
@@ -81,32 +89,42 @@ def closure_pairs(edges: list[tuple[int, int]]) -> Iterator[tuple[int, list[int]
             after[comp[r]].add(comp[c])
         elif r == c:
             cyclic.add(comp[r])
-    reach: dict[int, int] = {}
-    own = {k: sum(1 << place[v] for v in vs) for k, vs in members.items()}
+    order: list[int] = []  # components after all that they lead to
+    state: dict[int, int] = {}
     for start in members:
-        work = [start]
+        work = [(start, iter(after[start]))] if start not in state else []
+        state.setdefault(start, 1)
         while work:
-            k = work[-1]
-            if k in reach:
+            k, rest = work[-1]
+            for x in rest:
+                if x not in state:
+                    state[x] = 1
+                    work.append((x, iter(after[x])))
+                    break
+            else:
+                order.append(k)
                 work.pop()
-                continue
-            missing = [x for x in after[k] if x not in reach]
-            if missing:
-                work += missing
-                continue
-            bits = own[k] if k in cyclic else 0
+    targets = [v for k in order for v in members[k]]
+    for at in range(share * _TARGETS, len(targets), shares * _TARGETS):
+        block = targets[at : at + _TARGETS]
+        own: dict[int, int] = {}
+        for i, v in enumerate(block):
+            own[comp[v]] = own.get(comp[v], 0) | 1 << i
+        reach: dict[int, int] = {}
+        for k in order:
+            bits = own.get(k, 0) if k in cyclic else 0
             for x in after[k]:
-                bits |= reach[x] | own[x]
-            reach[k] = bits
-            work.pop()
-    for k, vs in members.items():
-        bits, found = reach[k], []
-        while bits:
-            low = bits & -bits
-            found.append(nodes[low.bit_length() - 1])
-            bits ^= low
-        for v in vs:
-            yield v, found
+                bits |= reach.get(x, 0) | own.get(x, 0)
+            if bits:
+                reach[k] = bits
+        for k, bits in reach.items():
+            found, left = [], bits
+            while left:
+                low = left & -left
+                found.append(block[low.bit_length() - 1])
+                left ^= low
+            for v in members[k]:
+                yield v, found
 
 
 def _one_task(a: DataFrame, solve, schema: str) -> DataFrame:
@@ -119,21 +137,34 @@ def _one_task(a: DataFrame, solve, schema: str) -> DataFrame:
     return a.select("r", "c").coalesce(1).mapInPandas(run, schema)
 
 
-def leaf_closure(a: DataFrame) -> DataFrame:
-    """Closure in one task, for matrices whose size the caller has checked."""
+def leaf_closure(a: DataFrame, shares: int = 8) -> DataFrame:
+    """Closure of a matrix whose number of ones the caller has checked.
 
-    def solve(edges: list) -> Iterator[pd.DataFrame]:
+    Each of ``shares`` tasks holds the ones and gives the pairs of its share of the
+    targets, so neither memory nor a partition grows with the ones of the closure.
+    """
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        # Every share brings the same ones; a task that got several keeps those of one.
+        edges: list[tuple[int, int]] = []
+        mine: list[int] = []
+        for f in frames:
+            mine += [x for x in f["share"].unique().tolist() if x not in mine]
+            own = f[f["share"] == mine[0]] if mine else f
+            edges += list(zip(own["r"].tolist(), own["c"].tolist(), strict=True))
         rows: list[int] = []
         cols: list[int] = []
-        for v, found in closure_pairs(edges):
-            rows += [v] * len(found)
-            cols += found
-            if len(rows) > 100_000:
-                yield pd.DataFrame({"r": rows, "c": cols})
-                rows, cols = [], []
+        for share in mine:
+            for v, found in closure_pairs(edges, share, shares):
+                rows += [v] * len(found)
+                cols += found
+                if len(rows) > 100_000:
+                    yield pd.DataFrame({"r": rows, "c": cols}, dtype="int64")
+                    rows, cols = [], []
         yield pd.DataFrame({"r": rows, "c": cols}, dtype="int64")
 
-    return _one_task(a, solve, "r long, c long")
+    copied = a.select("r", "c", F.explode(F.sequence(F.lit(0), F.lit(shares - 1))).alias("share"))
+    return copied.repartition(shares, "share").mapInPandas(run, "r long, c long")
 
 
 def _leaf_components(a: DataFrame) -> DataFrame:
@@ -195,6 +226,29 @@ def components(a: DataFrame, leaf_ones: int = LEAF_ONES) -> DataFrame:
     return _leaf_components(a) if a.count() <= leaf_ones else _distributed_components(a)
 
 
+def undirected_components(a: DataFrame, leaf_ones: int = LEAF_ONES) -> DataFrame:
+    """(id, comp) of all ends of ``a``, edges taken both ways; the least end names a component."""
+    ends = _ends(a)
+    found = connected(a.select(F.col("r").alias("a"), F.col("c").alias("b"))).select("id", F.col("component_id").alias("comp"))
+    return ends.join(found, "id", "left").select("id", F.coalesce("comp", "id").alias("comp"))
+
+
+def mirrored_closure(x: DataFrame) -> FactoredClosure:
+    """The closure of X times X transposed, without that product.
+
+    Rows that share a column are linked, so rows belong together if they are
+    connected in the two-sided graph of rows (even numbers) and columns (odd ones).
+    """
+    sided = x.select((2 * F.col("r")).alias("a"), (2 * F.col("c") + 1).alias("b"))
+    found = connected(sided).where("id % 2 = 0")
+    comp = found.select(F.shiftright("id", 1).alias("id"), F.col("component_id").alias("comp"))
+    rows = checkpointed(comp)
+    names = rows.groupBy("comp").agg(F.min("id").alias("least"))
+    comp = checkpointed(rows.join(names, "comp").select("id", F.col("least").alias("comp")))
+    nothing = comp.select(F.col("id").alias("r"), F.col("comp").alias("c")).limit(0)
+    return FactoredClosure(comp, nothing, comp.select("comp").distinct())
+
+
 @dataclass
 class FactoredClosure:
     """A closure as components, reachable pairs of components, and cyclic ones."""

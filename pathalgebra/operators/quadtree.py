@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import struct
 from collections import Counter
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
 
 import numpy as np
@@ -158,35 +159,263 @@ def has(tree: QuadTree, rank: RankBits, r: int, c: int) -> bool:
     return True
 
 
+def from_codes(z: np.ndarray, levels: int) -> QuadTree:
+    """The tree of ascending distinct z-order codes."""
+    if not len(z):
+        return QuadTree(levels, np.zeros(0, np.uint8), [])
+    parts, children = [], z
+    for _ in range(levels):  # from the last level up
+        parents, where = np.unique(children >> np.uint64(2), return_inverse=True)
+        bits = np.zeros(4 * len(parents), np.uint8)
+        bits[4 * where + (children & np.uint64(3)).astype(np.int64)] = 1
+        parts.append(bits)
+        children = parents
+    parts.reverse()
+    return QuadTree(levels, np.concatenate(parts), [len(p) for p in parts])
+
+
+def level_arrays(tree: QuadTree) -> list[np.ndarray]:
+    """Views of the bits of each level, one row for each quadrant."""
+    out, at = [], 0
+    for n in tree.level_bits:
+        out.append(tree.bits[at : at + n].reshape(-1, 4))
+        at += n
+    return out
+
+
+def _from_levels(levels: int, parts: list[np.ndarray]) -> QuadTree:
+    flat_parts = [p.reshape(-1) for p in parts]
+    return QuadTree(levels, np.concatenate(flat_parts), [len(p) for p in flat_parts])
+
+
+def quadrants(tree: QuadTree) -> list[QuadTree]:
+    """The four quadrants; each level of one is a slice of the tree's, so nothing is decoded."""
+    empty_part = QuadTree(tree.levels - 1, np.zeros(0, np.uint8), [])
+    if not tree.level_bits:
+        return [empty_part] * 4
+    rows = level_arrays(tree)
+    out = []
+    for j in range(4):
+        if not rows[0][0, j]:
+            out.append(empty_part)
+            continue
+        low = int(rows[0][0, :j].sum())
+        high, parts = low + 1, []
+        for below in rows[1:]:
+            parts.append(below[low:high])
+            # The children of a run of quadrants are a run of the next level.
+            before = int(below[:low].sum())
+            low, high = before, before + int(below[low:high].sum())
+        out.append(_from_levels(tree.levels - 1, parts) if parts else QuadTree(0, np.zeros(0, np.uint8), []))
+    return out
+
+
+def _is_empty(tree: QuadTree) -> bool:
+    return not tree.level_bits
+
+
+def concat(parts: list[QuadTree], levels: int, counters: Counter | None = None) -> QuadTree:
+    """The tree of four quadrants of ``levels`` - 1 levels, joined level by level.
+
+    If one quadrant alone isn't empty, its levels are shared behind a new root.
+    """
+    counters = Counter() if counters is None else counters
+    root = np.array([[not _is_empty(p) for p in parts]], np.uint8)
+    live = [p for p in parts if not _is_empty(p)]
+    if not live:
+        return QuadTree(levels, np.zeros(0, np.uint8), [])
+    if len(live) == 1:
+        counters["trivial"] += 1
+        return QuadTree(levels, np.concatenate([root.reshape(-1), live[0].bits]), [4, *live[0].level_bits])
+    counters["concatenated"] += 1
+    rows = [level_arrays(p) for p in live]
+    return _from_levels(levels, [root, *(np.concatenate([r[d] for r in rows]) for d in range(levels - 1))])
+
+
+#: Quadrants of so many levels are merged as sorted codes.
+_CODE_LEVELS = 5
+
+
+def combine(op: str, x: QuadTree, y: QuadTree, counters: Counter | None = None, row: int | None = None, col: int | None = None, parallel_levels: int = 0) -> QuadTree:
+    """Quadrant-wise ``or``, ``and``, ``diff`` or ``xor``, each level written by itself.
+
+    A lone operand is passed on whole: its levels are copied as slices.  ``row`` and
+    ``col`` restrict the result; quadrants that miss the line count as empty.  In the
+    top ``parallel_levels`` levels the quadrants are tasks of a pool of threads.
+    """
+    counters = Counter() if counters is None else counters
+    counters["calls"] += 1
+    nothing = QuadTree(x.levels, np.zeros(0, np.uint8), [])
+    bound = row is not None or col is not None
+    if not bound and (_is_empty(x) or _is_empty(y)):
+        counters["passed"] += 1
+        return {"or": y if _is_empty(x) else x, "xor": y if _is_empty(x) else x, "and": nothing, "diff": x}[op]
+    if _is_empty(x) and (_is_empty(y) or op in ("and", "diff")) or (_is_empty(y) and op == "and"):
+        return nothing
+    if not bound and x.levels <= _CODE_LEVELS:
+        a, b = codes(x), codes(y)
+        z = {"or": np.union1d, "and": np.intersect1d, "diff": np.setdiff1d, "xor": np.setxor1d}[op](a, b)
+        return from_codes(z.astype(np.uint64), x.levels)
+    if x.levels == 1:
+        a, b = (t.bits if t.level_bits else np.zeros(4, np.uint8) for t in (x, y))
+        bits = {"or": a | b, "and": a & b, "diff": a & (1 - b), "xor": a ^ b}[op]
+        keep = np.array([(row is None or row == j >> 1) and (col is None or col == (j & 1)) for j in range(4)], np.uint8)
+        bits = bits * keep
+        return QuadTree(1, bits, [4]) if bits.any() else nothing
+    half = 1 << (x.levels - 1)
+
+    def part(j: int, a: QuadTree, b: QuadTree) -> QuadTree:
+        i, k = j >> 1, j & 1
+        if (row is not None and (row >= half) != bool(i)) or (col is not None and (col >= half) != bool(k)):
+            return QuadTree(x.levels - 1, np.zeros(0, np.uint8), [])
+        return combine(op, a, b, counters, None if row is None else row - half * i, None if col is None else col - half * k, parallel_levels - 1)
+
+    jobs = [(j, a, b) for j, (a, b) in enumerate(zip(quadrants(x), quadrants(y), strict=True))]
+    if parallel_levels > 0:
+        with ThreadPoolExecutor(4) as pool:
+            parts = list(pool.map(lambda job: part(*job), jobs))
+    else:
+        parts = [part(*job) for job in jobs]
+    return concat(parts, x.levels, counters)
+
+
+def restrict_tree(x: QuadTree, row: int | None = None, col: int | None = None) -> QuadTree:
+    """The ones of a row, a column or a cell; only quadrants on the line are looked at."""
+    if row is None and col is None:
+        return x
+    return combine("or", x, QuadTree(x.levels, np.zeros(0, np.uint8), []), row=row, col=col)
+
+
+def turned(x: QuadTree) -> QuadTree:
+    """Transpose of a tree."""
+    r, c = decode(x)
+    return from_codes(np.sort(interleave(c, r)), x.levels)
+
+
+#: Pairs of quadrants that the product holds at a time.
+_PAIRS = 1 << 21
+
+
+def times(x: QuadTree, y: QuadTree, counters: Counter | None = None, row: int | None = None, col: int | None = None) -> QuadTree:
+    """The product by quadrants, all pairs of a level at once.
+
+    A pair of non-empty quadrants gives up to eight pairs of the next level; a pair
+    with an empty one gives none.  With ``row`` or ``col`` result quadrants that miss
+    the line are left out, four of a call's eight products with one line, six with
+    both.  Sums of quadrants are worked out once, at the last level.
+    """
+    counters = Counter() if counters is None else counters
+    if _is_empty(x) or _is_empty(y):
+        return QuadTree(x.levels, np.zeros(0, np.uint8), [])
+    rows_x, rows_y = level_arrays(x), level_arrays(y)
+    child_x = [np.cumsum(b.reshape(-1), dtype=np.int64) - 1 for b in rows_x]
+    child_y = [np.cumsum(b.reshape(-1), dtype=np.int64) - 1 for b in rows_y]
+    zero = np.zeros(1, np.int64)
+    work = [(0, zero, zero, np.zeros(1, np.uint64))]
+    found = np.zeros(0, np.uint64)
+    while work:
+        depth, nx, ny, code = work.pop()
+        if depth == x.levels:
+            found = np.union1d(found, code)
+            continue
+        if len(nx) > _PAIRS:
+            work += [(depth, nx[at : at + _PAIRS], ny[at : at + _PAIRS], code[at : at + _PAIRS]) for at in range(0, len(nx), _PAIRS)]
+            continue
+        counters["products"] += len(nx)
+        shift = x.levels - depth - 1
+        parts = []
+        for i in (0, 1) if row is None else (row >> shift & 1,):
+            for j in (0, 1) if col is None else (col >> shift & 1,):
+                for k in (0, 1):
+                    live = (rows_x[depth][nx, 2 * i + k] & rows_y[depth][ny, 2 * k + j]).astype(bool)
+                    if live.any():
+                        parts.append((child_x[depth][4 * nx[live] + 2 * i + k], child_y[depth][4 * ny[live] + 2 * k + j], code[live] * np.uint64(4) + np.uint64(2 * i + j)))
+        if parts:
+            work.append((depth + 1, *(np.concatenate(p) for p in zip(*parts, strict=True))))
+    return from_codes(found, x.levels)
+
+
+#: Levels of a matrix whose closure is worked out on rows of bits.
+_LEAF_LEVELS = 8
+
+
+def _closed_rows(x: QuadTree) -> QuadTree:
+    r, c = decode(x)
+    rows = [0] * (1 << x.levels)
+    for i, j in zip(r.tolist(), c.tolist(), strict=True):
+        rows[i] |= 1 << j
+    for k in sorted({*c.tolist()}):
+        if rows[k]:
+            for i, bits in enumerate(rows):
+                if bits >> k & 1:
+                    rows[i] = bits | rows[k]
+    out_r, out_c = [], []
+    for i, bits in enumerate(rows):
+        while bits:
+            low = bits & -bits
+            out_r.append(i)
+            out_c.append(low.bit_length() - 1)
+            bits ^= low
+    return encode(out_r, out_c, x.levels)
+
+
+def closed(x: QuadTree, counters: Counter | None = None, leaf_levels: int = _LEAF_LEVELS) -> QuadTree:
+    """Closure in two passes over quadrants, on level arrays."""
+    counters = Counter() if counters is None else counters
+    counters["closures"] += 1
+    if _is_empty(x):
+        return x
+    if x.levels <= max(1, leaf_levels):
+        return _closed_rows(x)
+    nw, ne, sw, se = quadrants(x)
+
+    def add(a: QuadTree, b: QuadTree) -> QuadTree:
+        return merge_sum(a, b)
+
+    nw = closed(nw, counters, leaf_levels)
+    ne, sw_low = add(ne, times(nw, ne, counters)), add(sw, times(sw, nw, counters))
+    se = closed(add(se, times(sw, ne, counters)), counters, leaf_levels)
+    sw, ne = add(sw_low, times(se, sw_low, counters)), add(ne, times(ne, se, counters))
+    nw = add(nw, times(ne, sw_low, counters))
+    return concat([nw, ne, sw, se], x.levels)
+
+
 def merge_sum(x: QuadTree, y: QuadTree, batch_copies: bool = True, counters: Counter | None = None) -> QuadTree:
     """Sum in one pass over both bit strings.
 
-    A level's tasks, in order, each merge two signatures or copy one; they name
-    the next level's tasks.  ``batch_copies`` counts a run of copies of one side
-    as one word copy.
+    A level's tasks, in order, each merge two signatures or copy one; they name the
+    next level's tasks.  With ``batch_copies`` consecutive tasks of a kind are one
+    copy, or one merge, of a slice of words; without it every signature is handled
+    by itself, as libraries do that copy node by node.
     """
     counters = Counter() if counters is None else counters
     if not x.level_bits or not y.level_bits:
         return x if x.level_bits else y
     tasks = np.array([3], np.int8)  # 1: from x, 2: from y, 3: both
-    parts, ax, ay = [], 0, 0
-    for depth in range(x.levels):
-        in_x, in_y = (tasks & 1) > 0, (tasks & 2) > 0
-        bits_x = np.zeros((len(tasks), 4), np.uint8)
-        bits_y = np.zeros((len(tasks), 4), np.uint8)
-        nx, ny = x.level_bits[depth], y.level_bits[depth]
-        bits_x[in_x] = x.bits[ax : ax + nx].reshape(-1, 4)
-        bits_y[in_y] = y.bits[ay : ay + ny].reshape(-1, 4)
-        ax, ay = ax + nx, ay + ny
-        parts.append((bits_x | bits_y).reshape(-1))
+    parts = []
+    for rows_x, rows_y in zip(level_arrays(x), level_arrays(y), strict=True):
+        out, kinds = np.empty((len(tasks), 4), np.uint8), np.empty((len(tasks), 4), np.uint8)
+        starts = np.concatenate([[0], np.flatnonzero(tasks[1:] != tasks[:-1]) + 1]) if batch_copies else np.arange(len(tasks))
+        ax = ay = 0
+        for a, b in zip(starts.tolist(), [*starts[1:].tolist(), len(tasks)], strict=True):
+            n, kind = b - a, int(tasks[a])
+            if kind == 3:
+                mine, other = rows_x[ax : ax + n], rows_y[ay : ay + n]
+                np.bitwise_or(mine, other, out=out[a:b])
+                kinds[a:b] = mine + 2 * other
+                counters["merges"] += n
+            else:
+                mine = rows_x[ax : ax + n] if kind == 1 else rows_y[ay : ay + n]
+                out[a:b] = mine
+                kinds[a:b] = kind * mine
+                counters["copies"] += 1
+            ax += n * (kind & 1)
+            ay += n * (kind >> 1)
         counters["tasks"] += len(tasks)
-        counters["merges"] += int((tasks == 3).sum())
-        copies = tasks != 3
-        runs = int((copies & np.concatenate([[True], tasks[1:] != tasks[:-1]])).sum())
-        counters["copies"] += runs if batch_copies else int(copies.sum())
-        following = (bits_x + 2 * bits_y).reshape(-1)
-        tasks = following[following > 0].astype(np.int8)
-    return QuadTree(x.levels, np.concatenate(parts), [len(p) for p in parts])
+        parts.append(out)
+        flat_kinds = kinds.reshape(-1)
+        tasks = flat_kinds[flat_kinds > 0].astype(np.int8)
+    return _from_levels(x.levels, parts)
 
 
 # Recursion works on nested quadrants: None is empty, True a single one, else four parts.

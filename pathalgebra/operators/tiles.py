@@ -2,29 +2,38 @@
 
 A tile covers ``2^tile_bits`` rows and columns.  Sums join tiles by place and pass
 lonely ones on untouched; products join on the inner index and merge what lands
-on one tile.  Node numbers must be dense, see ``sources.graphs.dense_numbers``.
+on one tile; closures go through quadrants of tiles in two passes.  Transposition
+exchanges the two keys and turns a flag over; payloads are turned where one meets a
+payload that isn't flipped.  Node numbers must be dense, see
+``sources.graphs.dense_numbers``.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
 
-import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from pathalgebra.operators import quadtree as qt
+from pathalgebra.runtime import checkpointed
 
-TILE = "tr int, tc int, ones int, level_bits array<int>, bits binary"
+TILE = "tr int, tc int, ones int, level_bits array<int>, bits binary, flipped boolean"
+_PAYLOAD = ("ones", "level_bits", "bits", "flipped")
 
 
-def _tile(tr: int, tc: int, tree: qt.QuadTree) -> pd.DataFrame:
-    return pd.DataFrame({"tr": [tr], "tc": [tc], "ones": [tree.ones], "level_bits": [tree.level_bits], "bits": [tree.to_bytes()]})
+def _tile(tr: int, tc: int, tree: qt.QuadTree, flipped: bool = False) -> pd.DataFrame:
+    return pd.DataFrame({"tr": [tr], "tc": [tc], "ones": [tree.ones], "level_bits": [tree.level_bits], "bits": [tree.to_bytes()], "flipped": [flipped]})
+
+
+def _tree(bits: bytes, flipped: bool) -> qt.QuadTree:
+    tree = qt.QuadTree.from_bytes(bits)
+    return qt.turned(tree) if flipped else tree
 
 
 def to_tiles(a: DataFrame, tile_bits: int = 10) -> DataFrame:
-    """(tr, tc, ones, level_bits, bits) from (r, c); one group is at most one tile."""
+    """(tr, tc, ones, level_bits, bits, flipped) from (r, c); one group is at most one tile."""
     mask = (1 << tile_bits) - 1
 
     def pack(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
@@ -37,70 +46,169 @@ def to_tiles(a: DataFrame, tile_bits: int = 10) -> DataFrame:
 def from_tiles(tiles: DataFrame, tile_bits: int = 10) -> DataFrame:
     def unpack(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
-            for tr, tc, bits in zip(f["tr"], f["tc"], f["bits"], strict=True):
+            for tr, tc, bits, flipped in zip(f["tr"], f["tc"], f["bits"], f["flipped"], strict=True):
                 r, c = qt.decode(qt.QuadTree.from_bytes(bits))
+                r, c = (c, r) if flipped else (r, c)
                 yield pd.DataFrame({"r": r + (int(tr) << tile_bits), "c": c + (int(tc) << tile_bits)})
 
-    return tiles.select("tr", "tc", "bits").mapInPandas(unpack, "r long, c long")
+    return tiles.select("tr", "tc", "bits", "flipped").mapInPandas(unpack, "r long, c long")
+
+
+def tile_identity(nodes: DataFrame, tile_bits: int = 10) -> DataFrame:
+    """Ones at (id, id)."""
+    return to_tiles(nodes.select(F.col("id").alias("r"), F.col("id").alias("c")), tile_bits)
 
 
 def tile_transpose(tiles: DataFrame) -> DataFrame:
-    def turn(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """Exchanges names and turns a flag over; no payload is read."""
+    return tiles.select(F.col("tc").alias("tr"), F.col("tr").alias("tc"), "ones", "level_bits", "bits", (~F.col("flipped")).alias("flipped"))
+
+
+def _on_line(tiles: DataFrame, row: int | None, col: int | None, tile_bits: int) -> DataFrame:
+    """The tiles that a restriction can touch: a filter on their keys."""
+    if row is not None:
+        tiles = tiles.where(F.col("tr") == row >> tile_bits)
+    return tiles if col is None else tiles.where(F.col("tc") == col >> tile_bits)
+
+
+def tile_restrict(tiles: DataFrame, row: int | None = None, col: int | None = None, tile_bits: int = 10) -> DataFrame:
+    """The ones of a row, a column or a cell; other tiles are filtered by their keys."""
+    if row is None and col is None:
+        return tiles
+    mask = (1 << tile_bits) - 1
+    r, c = None if row is None else row & mask, None if col is None else col & mask
+
+    def cut(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for f in frames:
+            for tr, tc, bits, flipped in zip(f["tr"], f["tc"], f["bits"], f["flipped"], strict=True):
+                own = (c, r) if flipped else (r, c)
+                tree = qt.restrict_tree(qt.QuadTree.from_bytes(bits), *own)
+                if tree.ones:
+                    yield _tile(tr, tc, tree, flipped)
+
+    return _on_line(tiles, row, col, tile_bits).mapInPandas(cut, TILE)
+
+
+def tile_has(tiles: DataFrame, row: int, col: int, tile_bits: int = 10) -> bool:
+    """Whether a cell of a stored matrix holds a one: one tile is read, and probed by rank."""
+    mask = (1 << tile_bits) - 1
+
+    def probe(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
-            for tr, tc, bits in zip(f["tr"], f["tc"], f["bits"], strict=True):
+            for bits, flipped in zip(f["bits"], f["flipped"], strict=True):
                 tree = qt.QuadTree.from_bytes(bits)
-                r, c = qt.decode(tree)
-                yield _tile(tc, tr, qt.encode(c, r, tree.levels))
+                r, c = (col & mask, row & mask) if flipped else (row & mask, col & mask)
+                yield pd.DataFrame({"hit": [qt.has(tree, qt.RankBits(tree.bits), r, c)]})
 
-    return tiles.mapInPandas(turn, TILE)
+    return not _on_line(tiles, row, col, tile_bits).mapInPandas(probe, "hit boolean").where("hit").isEmpty()
 
 
-def tile_sum(a: DataFrame, b: DataFrame, op: str = "or") -> DataFrame:
-    """``or``, ``and``, ``diff`` or ``xor`` of two tile tables."""
-    left = a.select("tr", "tc", F.struct("ones", "level_bits", "bits").alias("a"))
-    right = b.select("tr", "tc", F.struct("ones", "level_bits", "bits").alias("b"))
+def tile_sum(a: DataFrame, b: DataFrame, op: str = "or", row: int | None = None, col: int | None = None, tile_bits: int = 10) -> DataFrame:
+    """``or``, ``and``, ``diff`` or ``xor`` of two tile tables, in one row or column if asked."""
+    a, b = (tile_restrict(x, row, col, tile_bits) for x in (a, b))
+    left = a.select("tr", "tc", F.struct(*_PAYLOAD).alias("a"))
+    right = b.select("tr", "tc", F.struct(*_PAYLOAD).alias("b"))
     joined = left.join(right, ["tr", "tc"], "full_outer")
     alone = joined.where("a is null or b is null")
     alone = alone.where({"or": "true", "xor": "true", "and": "false", "diff": "a is not null"}[op])
-    passed = alone.select("tr", "tc", F.coalesce("a", "b").alias("t")).select("tr", "tc", "t.ones", "t.level_bits", "t.bits")
+    passed = alone.select("tr", "tc", F.coalesce("a", "b").alias("t")).select("tr", "tc", "t.ones", "t.level_bits", "t.bits", "t.flipped")
 
     def merge(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
-            for tr, tc, x, y in zip(f["tr"], f["tc"], f["x"], f["y"], strict=True):
-                x, y = qt.QuadTree.from_bytes(x), qt.QuadTree.from_bytes(y)
-                tree = qt.merge_sum(x, y) if op == "or" else qt.flat(qt.recurse(op, qt.nest(x), qt.nest(y)), x.levels)
+            for tr, tc, x, y, fx, fy in zip(f["tr"], f["tc"], f["x"], f["y"], f["fx"], f["fy"], strict=True):
+                # Two flipped payloads are merged as they are, and the result is flipped.
+                both = fx and fy
+                x, y = _tree(x, fx and not both), _tree(y, fy and not both)
+                tree = qt.merge_sum(x, y) if op == "or" else qt.combine(op, x, y)
                 if tree.ones:
-                    yield _tile(tr, tc, tree)
+                    yield _tile(tr, tc, tree, both)
 
-    both = joined.where("a is not null and b is not null").select("tr", "tc", F.col("a.bits").alias("x"), F.col("b.bits").alias("y"))
+    both = joined.where("a is not null and b is not null")
+    both = both.select("tr", "tc", F.col("a.bits").alias("x"), F.col("b.bits").alias("y"), F.col("a.flipped").alias("fx"), F.col("b.flipped").alias("fy"))
     return passed.unionByName(both.mapInPandas(merge, TILE))
 
 
-def _dense(tree: qt.QuadTree) -> np.ndarray:
-    out = np.zeros((1 << tree.levels, 1 << tree.levels), np.float32)
-    out[qt.decode(tree)] = 1
-    return out
-
+def tile_product(a: DataFrame, b: DataFrame, row: int | None = None, col: int | None = None, tile_bits: int = 10) -> DataFrame:
+    """Tiles of the product; a result tile is merged from partial ones of the same place.
 
-def tile_product(a: DataFrame, b: DataFrame) -> DataFrame:
-    """Tiles of the product; a result tile is merged from partial ones of the same place."""
+    A restriction filters the tiles of the left factor's row or the right factor's
+    column and goes on inside the quadrants of those that are left.
+    """
+    mask = (1 << tile_bits) - 1
+    r, c = None if row is None else row & mask, None if col is None else col & mask
 
     def multiply(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
-            for tr, tc, x, y in zip(f["tr"], f["tc"], f["x"], f["y"], strict=True):
-                x, y = qt.QuadTree.from_bytes(x), qt.QuadTree.from_bytes(y)
-                r, c = np.nonzero(_dense(x) @ _dense(y))
-                if len(r):
-                    yield _tile(tr, tc, qt.encode(r, c, x.levels))
+            for tr, tc, x, y, fx, fy in zip(f["tr"], f["tc"], f["x"], f["y"], f["fx"], f["fy"], strict=True):
+                if fx and fy:  # the transpose of a product is the product of the transposes in turn
+                    tree = qt.times(_tree(y, False), _tree(x, False), None, c, r)
+                else:
+                    tree = qt.times(_tree(x, fx), _tree(y, fy), None, r, c)
+                if tree.ones:
+                    yield _tile(tr, tc, tree, bool(fx and fy))
 
     def merge(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
-        trees = [qt.QuadTree.from_bytes(x) for x in rows["bits"]]
+        trees = [_tree(x, f) for x, f in zip(rows["bits"], rows["flipped"], strict=True)]
         total = trees[0]
         for t in trees[1:]:
             total = qt.merge_sum(total, t)
         return _tile(key[0], key[1], total)
 
-    left = a.select("tr", F.col("tc").alias("k"), F.col("bits").alias("x"))
-    right = b.select(F.col("tr").alias("k"), "tc", F.col("bits").alias("y"))
-    partial = left.join(right, "k").select("tr", "tc", "x", "y").mapInPandas(multiply, TILE)
+    a, b = _on_line(a, row, None, tile_bits), _on_line(b, None, col, tile_bits)
+    left = a.select("tr", F.col("tc").alias("k"), F.col("bits").alias("x"), F.col("flipped").alias("fx"))
+    right = b.select(F.col("tr").alias("k"), "tc", F.col("bits").alias("y"), F.col("flipped").alias("fy"))
+    partial = left.join(right, "k").select("tr", "tc", "x", "y", "fx", "fy").mapInPandas(multiply, TILE)
     return partial.groupBy("tr", "tc").applyInPandas(merge, TILE)
+
+
+def _tile_leaf(tiles: DataFrame) -> DataFrame:
+    """Closure of a matrix of one tile on the diagonal."""
+
+    def close(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for f in frames:
+            for tr, tc, bits, flipped in zip(f["tr"], f["tc"], f["bits"], f["flipped"], strict=True):
+                # The closure of a transpose is the transpose of the closure.
+                yield _tile(tr, tc, qt.closed(qt.QuadTree.from_bytes(bits)), flipped)
+
+    return tiles.mapInPandas(close, TILE)
+
+
+def tile_closure(tiles: DataFrame) -> DataFrame:
+    """Closure in two passes over quadrants of tiles; a single diagonal tile is closed in a task."""
+    tiles = checkpointed(tiles)
+    low, high, top = tiles.agg(F.min(F.least("tr", "tc")), F.max(F.greatest("tr", "tc")), F.count("*")).first()
+    return tiles if not top else _close_range(tiles, low, high + 1)
+
+
+def _close_range(tiles: DataFrame, low: int, high: int) -> DataFrame:
+    """Closure of the tiles with both keys in [low, high)."""
+    if tiles.isEmpty():
+        return tiles
+    if high - low == 1:
+        return checkpointed(_tile_leaf(tiles))
+    cut = (low + high) // 2
+
+    def part(rows: str, cols: str) -> DataFrame:
+        return tiles.where(f"tr {rows} {cut} and tc {cols} {cut}")
+
+    def add(a: DataFrame, b: DataFrame) -> DataFrame:
+        return checkpointed(tile_sum(a, b))
+
+    ne, sw, se = part("<", ">="), part(">=", "<"), part(">=", ">=")
+    nw = _close_range(part("<", "<"), low, cut)
+    ne, sw_low = add(ne, tile_product(nw, ne)), add(sw, tile_product(sw, nw))
+    se = _close_range(add(se, tile_product(sw, ne)), cut, high)
+    sw, ne = add(sw_low, tile_product(se, sw_low)), add(ne, tile_product(ne, se))
+    nw = add(nw, tile_product(ne, sw_low))
+    return checkpointed(nw.unionByName(ne).unionByName(sw).unionByName(se))
+
+
+def tile_reach(tiles: DataFrame, seed: DataFrame, reflexive: bool = False) -> DataFrame:
+    """Seed times closure, by rounds of products with what is new; the closure is never built."""
+    tiles, seed = checkpointed(tiles), checkpointed(seed)
+    seen = fresh = checkpointed(tile_product(seed, tiles))
+    while not fresh.isEmpty():
+        fresh = checkpointed(tile_sum(tile_product(fresh, tiles), seen, "diff"))
+        if not fresh.isEmpty():
+            seen = checkpointed(tile_sum(seen, fresh))
+    return tile_sum(seen, seed) if reflexive else seen

@@ -2,16 +2,19 @@
 
 States are the places of labels in the expression, found by the position
 construction, so there are no empty moves.  The table of moves is as small as
-the expression and is broadcast; the work table grows with the graph only.
+the expression and is broadcast; the work table grows with the graph only.  A label
+is joined in the rounds that can use it, and a fixed start restricts the first scans.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pathalgebra.operators import matrix as m
 from pathalgebra.plans.paths import Alt, Eps, Expr, Label, Neg, Opt, Plus, Seq, Star, push_inverse
 from pathalgebra.runtime import checkpointed
 from pathalgebra.sources.graphs import Graph
@@ -70,30 +73,72 @@ def walk(graph: Graph, e: Expr, row: int | None = None, col: int | None = None)
         return back.select(F.col("c").alias("r"), F.col("r").alias("c"))
     auto = positions(e)
     spark = graph.spark
-    moves = None
-    for k, leaf in enumerate(auto.leaves):
-        a = graph.without_labels(leaf.names) if isinstance(leaf, Neg) else graph.matrix(leaf.name)
-        a = a.select(F.col("c").alias("u"), F.col("r").alias("v")) if leaf.inverse else a.select(F.col("r").alias("u"), F.col("c").alias("v"))
-        a = a.withColumn("state", F.lit(k))
-        moves = a if moves is None else moves.unionByName(a)
     nodes = graph.nodes()
-    out = nodes.select(F.col("id").alias("r"), F.col("id").alias("c")) if auto.empty else nodes.select(F.col("id").alias("r"), F.col("id").alias("c")).limit(0)
-    if moves is not None:
-        moves = checkpointed(moves)
-        begin = moves.where(F.col("state").isin(sorted(auto.first)))
-        if row is not None:
-            begin = begin.where(F.col("u") == row)
-        seen = fresh = checkpointed(begin.select(F.col("u").alias("origin"), F.col("v").alias("at"), "state").distinct())
-        next_of = spark.createDataFrame(sorted(auto.follow) or [(-1, -1)], "state int, then int")
-        while not fresh.isEmpty():
-            options = fresh.join(F.broadcast(next_of), "state").select("origin", F.col("at").alias("u"), F.col("then").alias("state"))
-            found = options.join(moves, ["u", "state"]).select("origin", F.col("v").alias("at"), "state").distinct()
-            known = seen.select(F.col("origin").alias("o2"), F.col("at").alias("a2"), F.col("state").alias("s2"))
-            new = (F.col("origin") == F.col("o2")) & (F.col("at") == F.col("a2")) & (F.col("state") == F.col("s2"))
-            fresh = checkpointed(found.join(known, new, "left_anti"))
-            seen = checkpointed(seen.unionByName(fresh))
-        hits = seen.where(F.col("state").isin(sorted(auto.last))).select(F.col("origin").alias("r"), F.col("at").alias("c"))
-        out = out.unionByName(hits).distinct()
+    out = m.identity(nodes) if auto.empty else m.identity(nodes).limit(0)
     if row is not None:
         out = out.where(F.col("r") == row)
+    if not auto.leaves:
+        return out if col is None else out.where(F.col("c") == col)
+
+    def moves(state: int) -> DataFrame:
+        """(u, v) of the label at a place of the expression."""
+        leaf = auto.leaves[state]
+        a = graph.without_labels(leaf.names) if isinstance(leaf, Neg) else graph.matrix(leaf.name)
+        a = m.transpose(a) if leaf.inverse else a
+        return a.select(F.col("r").alias("u"), F.col("c").alias("v"))
+
+    repeated = _repeated(auto)
+    kept: dict[int, DataFrame] = {}
+
+    def moves_of(state: int) -> DataFrame:
+        # A place that a loop comes back to is read once and kept; others are read when they are due.
+        if state not in repeated:
+            return moves(state)
+        if state not in kept:
+            kept[state] = checkpointed(moves(state))
+        return kept[state]
+
+    # The fixed end restricts the scans of the first labels.
+    begins = []
+    for state in sorted(auto.first):
+        first = moves(state)
+        first = first if row is None else first.where(F.col("u") == row)
+        begins.append(first.select(F.col("u").alias("origin"), F.col("v").alias("at"), F.lit(state).alias("state")))
+    seen = [checkpointed(reduce(DataFrame.unionByName, begins).distinct())]
+    fresh, live = seen[0], set(auto.first)
+    next_of = spark.createDataFrame(sorted(auto.follow) or [(-1, -1)], "state int, then int")
+    while True:
+        live = {j for i, j in auto.follow if i in live}
+        if not live or fresh.isEmpty():
+            break
+        options = fresh.join(F.broadcast(next_of), "state").select("origin", F.col("at").alias("u"), F.col("then").alias("state"))
+        found = []
+        for state in sorted(live):
+            here = options.where(F.col("state") == state).select("origin", "u")
+            found.append(here.join(moves_of(state), "u").select("origin", F.col("v").alias("at"), F.lit(state).alias("state")))
+        new = reduce(DataFrame.unionByName, found).distinct()
+        if live & repeated:
+            known = reduce(DataFrame.unionByName, seen).select(F.col("origin").alias("o2"), F.col("at").alias("a2"), F.col("state").alias("s2"))
+            same = (F.col("origin") == F.col("o2")) & (F.col("at") == F.col("a2")) & (F.col("state") == F.col("s2"))
+            new = new.join(known, same, "left_anti")
+        fresh = checkpointed(new)
+        seen.append(fresh)
+    hits = reduce(DataFrame.unionByName, seen).where(F.col("state").isin(sorted(auto.last))).select(F.col("origin").alias("r"), F.col("at").alias("c"))
+    out = out.unionByName(hits).distinct()
     return out if col is None else out.where(F.col("c") == col)
+
+
+def _repeated(auto: Positions) -> set[int]:
+    """Places that lie on a loop of following places."""
+    found = set()
+    for start in range(len(auto.leaves)):
+        reached, work = set(), [start]
+        while work:
+            i = work.pop()
+            for a, b in auto.follow:
+                if a == i and b not in reached:
+                    reached.add(b)
+                    work.append(b)
+        if start in reached:
+            found.add(start)
+    return found

@@ -47,6 +47,8 @@ def _literal(table: str, kind: str, key: str, column: str) -> str:
     return _pairs(f"{table} JOIN {dense} AS n ON {table}.{column} = n.term", _id(kind, key), _id("literal", "n.id"))
 
 
+_STAR = "SELECT d.doc_id AS r, g.f AS c FROM documents AS d JOIN (SELECT text, min(doc_id) AS f FROM documents WHERE text IS NOT NULL GROUP BY text) AS g ON d.text = g.text AND d.doc_id <> g.f"
+_COPIES = f"({_STAR} UNION SELECT c AS r, r AS c FROM ({_STAR}) AS s)"
 _LINKS = "(SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS term FROM pages)"
 _HOSTS = "(SELECT page_id, regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS term FROM pages)"
 _WEB = f"(SELECT term, row_number() OVER (ORDER BY term) - 1 AS id FROM (SELECT term FROM {_LINKS} AS a UNION SELECT term FROM {_HOSTS} AS b) AS t)"
@@ -72,7 +74,7 @@ MATRICES: dict[str, dict[str, str]] = {
         "on_host": _pairs(f"{_HOSTS} AS l JOIN {_WEB} AS n ON l.term = n.term", _id("page", "page_id"), _id("literal", "n.id")),
     },
     "corpus": {
-        "copy_of": _pairs("documents AS a JOIN documents AS b ON a.text = b.text AND a.doc_id <> b.doc_id", _id("document", "a.doc_id"), _id("document", "b.doc_id")),
+        "copy_of": _pairs(f"{_COPIES} AS a", _id("document", "a.r"), _id("document", "a.c")),
         "from_source": _literal("documents", "document", "doc_id", "source"),
         "in_lang": _literal("documents", "document", "doc_id", "lang"),
     },

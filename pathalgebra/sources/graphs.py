@@ -18,13 +18,16 @@ class Graph:
     def __init__(self, spark: SparkSession, matrices: dict[str, Callable[[], DataFrame]]):
         self.spark, self._make = spark, matrices
         self._made: dict[str, DataFrame] = {}
+        self._all: DataFrame | None = None  # all triples in one frame, if the graph came as one
 
     @classmethod
     def from_triples(cls, triples: DataFrame) -> Graph:
         """From (s, p, o); labels are found, rows with a null are dropped, copies merge."""
         clean = checkpointed(triples.select("s", "p", "o").where("s is not null and p is not null and o is not null").distinct())
         names = [r[0] for r in clean.select("p").distinct().collect()]
-        return cls(clean.sparkSession, {n: (lambda n=n: clean.where(F.col("p") == n).select(F.col("s").alias("r"), F.col("o").alias("c"))) for n in names})
+        graph = cls(clean.sparkSession, {n: (lambda n=n: clean.where(F.col("p") == n).select(F.col("s").alias("r"), F.col("o").alias("c"))) for n in names})
+        graph._all = clean
+        return graph
 
     @property
     def labels(self) -> list[str]:
@@ -38,12 +41,20 @@ class Graph:
             self._made[label] = self._make[label]()
         return self._made[label]
 
+    def view(self, label: str, by: str | None = None) -> DataFrame:
+        """The label's matrix, laid out by its rows ("r") or columns ("c") where the graph has such views."""
+        return self.matrix(label)
+
     def without_labels(self, names: tuple[str, ...]) -> DataFrame:
+        if self._all is not None:
+            return self._all.where(~F.col("p").isin(list(names))).select(F.col("s").alias("r"), F.col("o").alias("c")).distinct()
         rest = [self.matrix(x) for x in self.labels if x not in names]
         return reduce(lambda a, b: a.unionByName(b), rest).distinct() if rest else self.matrix("")
 
     @cached_property
     def _nodes(self) -> DataFrame:
+        if self._all is not None:
+            return self._all.select(F.explode(F.array("s", "o")).alias("id")).distinct()
         ends = [self.matrix(x).select(F.col(c).alias("id")) for x in self.labels for c in ("r", "c")]
         return reduce(lambda a, b: a.unionByName(b), ends).distinct()
 
@@ -51,6 +62,8 @@ class Graph:
         return self._nodes
 
     def triples(self) -> DataFrame:
+        if self._all is not None:
+            return self._all
         parts = [self.matrix(x).select(F.col("r").alias("s"), F.lit(x).alias("p"), F.col("c").alias("o")) for x in self.labels]
         return reduce(lambda a, b: a.unionByName(b), parts)
 
@@ -169,12 +182,13 @@ def corpus(spark: SparkSession, sf: str) -> Graph:
         return _pairs(docs.select("doc_id", F.col(column).alias("term")).join(names, "term"), node_id("document", "doc_id"), node_id("literal", "id"))
 
     def copies() -> DataFrame:
-        # Texts are compared by two hashes; only texts that occur twice are paired.
+        # Texts are compared by two hashes; each copy is linked with the least document of its
+        # text and back, so a group of n copies has 2 (n - 1) links.
         keyed = checkpointed(docs.where("text is not null").select("doc_id", F.md5(F.col("text").cast("binary")).alias("k"), F.length("text").alias("n")))
-        groups = keyed.groupBy("k", "n").agg(F.count("*").alias("m")).where("m > 1").select("k", "n")
-        some = checkpointed(keyed.join(groups, ["k", "n"]))
-        left, right = some.select("k", "n", F.col("doc_id").alias("a")), some.select("k", "n", F.col("doc_id").alias("b"))
-        return _pairs(left.join(right, ["k", "n"]).where("a <> b"), node_id("document", "a"), node_id("document", "b"))
+        groups = keyed.groupBy("k", "n").agg(F.count("*").alias("m"), F.min("doc_id").alias("first")).where("m > 1").select("k", "n", "first")
+        star = checkpointed(keyed.join(groups, ["k", "n"]).where("doc_id <> first").select("doc_id", "first"))
+        both = star.unionByName(star.select(F.col("first").alias("doc_id"), F.col("doc_id").alias("first")))
+        return _pairs(both, node_id("document", "doc_id"), node_id("document", "first"))
 
     return Graph(spark, {"copy_of": copies, "from_source": lambda: literal("source"), "in_lang": lambda: literal("lang")})
 

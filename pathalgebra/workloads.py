@@ -18,6 +18,7 @@ from pathalgebra.plans.paths import Label, node, normalise, parse_path
 from pathalgebra.plans.to_sql import MATRICES, matrix_sql, query_sql
 from pathalgebra.runtime import table
 from pathalgebra.sources import graphs
+from pathalgebra.sources.store import DualGraph
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -88,7 +89,7 @@ def _closure(method: str, **options) -> Query:
     return lambda spark, sf: cl.closure(_clicks_views(spark, sf)[1], method, **options)
 
 
-def _seeded(seed: str, side: str, reflexive: bool, row: int | None = None) -> Query:
+def _seeded(seed: str, side: str, reflexive: bool, **options) -> Query:
     """(click|view) closed beside a restricted factor; the constant is the least fitting event."""
 
     def run(spark: SparkSession, sf: str) -> DataFrame:
@@ -96,7 +97,7 @@ def _seeded(seed: str, side: str, reflexive: bool, row: int | None = None) -> Qu
         factor = g.matrix(seed)
         end = "c" if side == "right" else "r"
         line = factor.agg(F.min(end)).first()[0]
-        return cl.closure_apply(base, factor.where(F.col(end) == line), side, reflexive)
+        return cl.closure_apply(base, factor.where(F.col(end) == line), side, reflexive, **options)
 
     return run
 
@@ -172,6 +173,33 @@ def _numbered_sql(label: str) -> str:
     return f"SELECT x.n AS r, y.n AS c FROM ({MATRICES['activity'][label]}) AS e JOIN {names} AS x ON e.r = x.id JOIN {names} AS y ON e.c = y.id"
 
 
+def _on_dual(key: str) -> Query:
+    """A path query on the same graph in the dual layout."""
+
+    def run(spark: SparkSession, sf: str) -> DataFrame:
+        graph, text = PATHS[key]
+        return answer(DualGraph.write(graphs.GRAPHS[graph](spark, sf)), text)
+
+    return run
+
+
+def _far_row(spark: SparkSession, sf: str) -> tuple[DataFrame, int]:
+    """Clicks and views in succession, and the least event with one."""
+    _, base = _clicks_views(spark, sf)
+    return base, base.agg(F.min("r")).first()[0]
+
+
+def reach_from_distributed(spark: SparkSession, sf: str) -> DataFrame:
+    """A row of a closure by rounds over the cluster, whatever its size."""
+    base, row = _far_row(spark, sf)
+    return cl.closure_from(base, row, leaf_ones=0)
+
+
+def reach_cell_distributed(spark: SparkSession, sf: str) -> DataFrame:
+    base, row = _far_row(spark, sf)
+    return cl.reachable(base, row, base.where(F.col("r") == row).agg(F.max("c")).first()[0], leaf_ones=0)
+
+
 def _on_tiles(f: Callable[[DataFrame, DataFrame], DataFrame], bits: int = 5) -> Query:
     def run(spark: SparkSession, sf: str) -> DataFrame:
         a, b = _numbered(spark, sf)
@@ -381,7 +409,7 @@ def fused_cell(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    from pathalgebra import relational, streaming_queries
+    from pathalgebra import relational, streaming_queries, surface
 
     out: dict[str, Query] = {k: path_query(k) for k in PATHS}
     out |= {"rpq_star_const": star_const, "star_small": star_small, "within2": within2, "closure_inverse": closure_inverse, "fused_cell": fused_cell}
@@ -398,11 +426,22 @@ def queries() -> dict[str, Query]:
     out |= {"quadtree_roundtrip": _on_tiles(lambda a, b: a), "tile_product": _on_tiles(tiles.tile_product), "tile_transpose": _on_tiles(lambda a, b: tiles.tile_transpose(a))}
     out |= {f"tile_{k}": _on_tiles(lambda a, b, op=op: tiles.tile_sum(a, b, op)) for k, op in (("sum", "or"), ("intersection", "and"), ("difference", "diff"), ("xor", "xor"))}
     out |= {"city_example": city_query, "latency_split": latency_split, "pattern_with_path": pattern_with_path, "succession_edges": succession_edges, "top_out_degree": top_out_degree}
-    return out | relational.queries() | streaming_queries.queries()
+    out |= {f"quad_{k}": path_query(f"rpq_{k}", engine="tiles", tile_bits=bits) for k, bits in (("saturating_plus", 7), ("same_nation", 10), ("turns", 10), ("chain_cv", 10), ("mid_star", 10), ("mid_optional", 10), ("nested_star", 10))}
+    line = {"row": 3}, {"col": 5}, {"row": 3, "col": 5}
+    for name, bound in zip(("row", "col", "cell"), line, strict=True):
+        out |= {f"quad_product_{name}": _on_tiles(lambda a, b, bound=bound: tiles.tile_product(a, b, tile_bits=5, **bound)), f"quad_sum_{name}": _on_tiles(lambda a, b, bound=bound: tiles.tile_sum(a, b, tile_bits=5, **bound))}
+        out |= {f"quad_difference_{name}": _on_tiles(lambda a, b, bound=bound: tiles.tile_sum(a, b, "diff", tile_bits=5, **bound))}
+    out |= {"quad_flipped_sum": _on_tiles(lambda a, b: tiles.tile_sum(tiles.tile_transpose(a), b)), "quad_flipped_product": _on_tiles(lambda a, b: tiles.tile_product(tiles.tile_transpose(a), tiles.tile_transpose(b)))}
+    out |= {"quad_closure": _on_tiles(lambda a, b: tiles.tile_closure(a), 7)}
+    out |= {f"dual_{k}": _on_dual(f"rpq_{k}") for k in ("concat_vv", "chain_vc", "chain_vv")}
+    out |= {"closure_bisect_parallel": _closure("bisect", leaf_ones=1500, parallel_levels=1), "reach_from_distributed": reach_from_distributed, "reach_cell_distributed": reach_cell_distributed}
+    out |= {"const_then_star_distributed": _seeded("signup", "left", True, leaf_ones=0), "plus_then_const_distributed": _seeded("purchase", "right", False, leaf_ones=0)}
+    out |= {"sum_by_size": lambda spark, sf: answer(graphs.activity(spark, sf), "?x click|view|error|purchase ?y", sums="by_size")}
+    return out | relational.queries() | surface.queries() | streaming_queries.queries()
 
 
 def oracle_sql() -> dict[str, str]:
-    from pathalgebra import relational, streaming_queries
+    from pathalgebra import relational, streaming_queries, surface
 
     out = {k: query_sql(*v) for k, v in PATHS.items()}
     out |= {"rpq_star_const": _star_const_sql(), "star_small": f"SELECT r AS x, c AS y FROM ({matrix_sql('geography', '(in_region/^in_region)*')}) AS q"}
@@ -438,7 +477,18 @@ def oracle_sql() -> dict[str, str]:
     )
     out["succession_edges"] = " UNION ALL ".join(f"SELECT r AS s, '{t}' AS p, c AS o FROM ({q}) AS m" for t, q in MATRICES["succession"].items())
     out["top_out_degree"] = f"SELECT p, s, n, place FROM (SELECT *, row_number() OVER (PARTITION BY p ORDER BY n DESC, s) AS place FROM (SELECT p, r AS s, count(*) AS n FROM ({every}) AS e GROUP BY p, r) AS d) AS k WHERE place <= 3"
-    return out | relational.oracle_sql() | streaming_queries.oracle_sql()
+    out |= {f"quad_{k}": out[f"rpq_{k}"] for k in ("saturating_plus", "same_nation", "turns", "chain_cv", "mid_star", "mid_optional", "nested_star")}
+    for name, where in (("row", "r = 3"), ("col", "c = 5"), ("cell", "r = 3 AND c = 5")):
+        out |= {f"quad_product_{name}": f"SELECT * FROM ({out['tile_product']}) AS q WHERE {where}", f"quad_sum_{name}": f"SELECT * FROM ({out['tile_sum']}) AS q WHERE {where}"}
+        out[f"quad_difference_{name}"] = f"SELECT * FROM ({out['tile_difference']}) AS q WHERE {where}"
+    out |= {"quad_flipped_sum": f"SELECT c AS r, r AS c FROM ({a}) AS x UNION SELECT r, c FROM ({b}) AS y", "quad_flipped_product": f"SELECT DISTINCT x.c AS r, y.r AS c FROM ({a}) AS x JOIN ({b}) AS y ON x.r = y.c"}
+    out |= {"quad_closure": f"WITH RECURSIVE e AS MATERIALIZED ({a}), t(r, c) AS (SELECT r, c FROM e UNION SELECT t.r, e.c FROM t JOIN e ON t.c = e.r) SELECT r, c FROM t"}
+    out |= {f"dual_{k}": out[f"rpq_{k}"] for k in ("concat_vv", "chain_vc", "chain_vv")}
+    base = matrix_sql("succession", "click|view")
+    far = f"WITH RECURSIVE b AS MATERIALIZED ({base}), t(r, c) AS (SELECT r, c FROM b WHERE r = (SELECT min(r) FROM b) UNION SELECT t.r, b.c FROM t JOIN b ON t.c = b.r) "
+    out |= {"closure_bisect_parallel": plus, "reach_from_distributed": far + "SELECT r, c FROM t", "reach_cell_distributed": far + "SELECT r, c FROM t WHERE c = (SELECT max(c) FROM b WHERE r = (SELECT min(r) FROM b))"}
+    out |= {"const_then_star_distributed": out["const_then_star"], "plus_then_const_distributed": out["plus_then_const"], "sum_by_size": query_sql("activity", "?x click|view|error|purchase ?y")}
+    return out | relational.oracle_sql() | surface.oracle_sql() | streaming_queries.oracle_sql()
 
 
 __all__ = ["PATHS", "Label", "oracle_sql", "queries"]
