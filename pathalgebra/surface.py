@@ -83,8 +83,8 @@ def pair_struct(spark, sf):
 def approx_nodes(spark, sf):
     """Ends of each label by a mergeable sketch, in per cent of the true number, rounded to tens: 100 where the sketch is good."""
     edges = graphs.commerce(spark, sf).triples()
-    per = edges.groupBy("p").agg(F.hll_sketch_estimate(F.hll_sketch_agg("s", F.lit(14))).alias("about"), F.countDistinct("s").alias("true"))
-    return per.select("p", F.expr("cast(round(10.0 * about / true) * 10 as bigint)").alias("percent"))
+    per = edges.groupBy("p").agg(F.hll_sketch_estimate(F.hll_sketch_agg("s", F.lit(14))).alias("about"), F.countDistinct("s").alias("n"))
+    return per.select("p", F.expr("cast(round(10.0 * about / n) * 10 as bigint)").alias("percent"))
 
 
 def bitmap_rows(spark, sf):
