@@ -46,7 +46,7 @@ STAGES = [
     ("packing", packing_stage),
 ]
 
-#: Learned classifiers decide, which SQL can't express; tests compare with brute force.
+#: Learned classifiers decide, which SQL cannot express; tests/llm/test_pipeline.py reruns every stage by brute force.
 ORACLE_SQL = None
 
 

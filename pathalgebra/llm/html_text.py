@@ -210,9 +210,9 @@ def parsed_pages(pages: DataFrame) -> DataFrame:
 
 
 def shared_lines(parsed: DataFrame) -> DataFrame:
-    """(key, host, box, n, shared, places): what each page shares with its nearest page, by element.
+    """(key, article, host, box, n, shared, places): what each page shares with its nearest page, by element.
 
-    ``places`` lists the shared lines of an element, on pages without an article.
+    ``places`` lists the shared lines of an element.
     Pages that are alone on their host have no rows.  One range-partitioned sort by
     host and path of line hashes.  The first and last page of each partition are
     sent to all tasks, two rows for each partition, so pairs don't depend on where
@@ -258,9 +258,8 @@ def shared_lines(parsed: DataFrame) -> DataFrame:
                     own[0] += 1
                     if k in shared:
                         own[1] += 1
-                        if not article:
-                            own[2].append(k)
-            return [(key, host, box, n, m, places) for box, (n, m, places) in by_box.items()]
+                        own[2].append(k)
+            return [(key, article, host, box, n, m, places) for box, (n, m, places) in by_box.items()]
 
         for batch in batches:
             found: list[tuple] = []
@@ -275,39 +274,41 @@ def shared_lines(parsed: DataFrame) -> DataFrame:
         if current is not None:
             yield as_rows(differ(current, previous, after.get(part)))
 
-    types = (pa.int64(), pa.string(), pa.int64(), pa.int32(), pa.int32(), pa.list_(pa.int32()))
+    types = (pa.int64(), pa.bool_(), pa.string(), pa.int64(), pa.int32(), pa.int32(), pa.list_(pa.int32()))
 
     def as_rows(found: list[tuple]) -> pa.RecordBatch:
-        columns = list(zip(*found, strict=True)) or [[]] * 6
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=["key", "host", "box", "n", "shared", "places"])
+        columns = list(zip(*found, strict=True)) or [[]] * len(types)
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=["key", "article", "host", "box", "n", "shared", "places"])
 
-    return rows.mapInArrow(pair, "key long, host string, box long, n int, shared int, places array<int>")
+    return rows.mapInArrow(pair, "key long, article boolean, host string, box long, n int, shared int, places array<int>")
 
 
 def template_marks(shared: DataFrame, least_share: float = LEAST_SHARE, least_pages: int = LEAST_PAGES) -> DataFrame:
-    """(key, boxes, places): each page's elements that are template on its host, and its shared lines.
+    """(key, marked, places): each page's elements that are template on its host, and its shared lines.
 
-    Only pages with any have a row.  Numbers of elements are counted over all pages
+    Only pages where these decide something have a row.  Numbers of elements are counted over all pages
     of a host; a page's row gathers what that one page holds.
     """
     total = shared.groupBy("host", "box").agg(F.sum("n").alias("n"), F.sum("shared").alias("m"), F.count("*").alias("pages"))
     template = total.where((F.col("m") >= least_share * F.col("n")) & (F.col("pages") >= least_pages)).select("host", "box", F.lit(True).alias("template"))
     marked = shared.join(template, ["host", "box"], "left").where("template or size(places) > 0")
     boxes = F.collect_set(F.when(F.col("template"), F.col("box")))
-    return marked.groupBy("key").agg(boxes.alias("marked"), F.flatten(F.collect_set("places")).alias("places"))
+    pages = marked.groupBy("key").agg(F.max("article").alias("article"), boxes.alias("marked"), F.flatten(F.collect_set("places")).alias("places"))
+    return pages.where("not article or size(marked) > 0").drop("article")
 
 
 def main_lines(lines: list[str], roles: list[int], boxes: list[int], article: bool, marked: set[int], places: set[int]) -> list[str]:
     """The lines of a page that are its main text.
 
-    The element with most of the page's text stays whatever it shares: where it is
-    shared as a whole, the pages are copies of each other.
+    The element with most text of its own stays whatever it shares; where all is
+    shared, the pages are copies of each other, and the largest element stays.
     """
     wanted = ARTICLE if article else FREE
-    size: dict[int, int] = {}
-    for text, role, box in zip(lines, roles, boxes, strict=True):
+    size: dict[int, tuple[int, int]] = {}
+    for k, (text, role, box) in enumerate(zip(lines, roles, boxes, strict=True)):
         if role == wanted:
-            size[box] = size.get(box, 0) + len(text)
+            own, total = size.get(box, (0, 0))
+            size[box] = (own + len(text) * (k not in places), total + len(text))
     main = max(size, key=lambda b: size[b]) if size else None
     return [
         text for k, (text, role, box) in enumerate(zip(lines, roles, boxes, strict=True))

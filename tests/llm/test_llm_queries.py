@@ -13,11 +13,3 @@ def test_query(spark, duck, name):
     same_rows(QUERIES[name](spark, SF), duck, ORACLE[name])
 
 
-def test_pipeline(spark):
-    import corpus_pipeline
-
-    assert [name for name, _ in corpus_pipeline.STAGES] == ["language", "toxicity", "near_dup", "mixing", "packing"]
-    docs = spark.read.parquet(f"{SF}/documents.parquet")
-    for name, stage in corpus_pipeline.STAGES[:-1]:
-        if name in ("language", "mixing"):
-            assert stage(spark, docs, SF).columns == docs.columns
