@@ -189,7 +189,9 @@ def _from_levels(levels: int, parts: list[np.ndarray]) -> QuadTree:
 
 
 def quadrants(tree: QuadTree) -> list[QuadTree]:
-    """The four quadrants; each level of one is a slice of the tree's, so nothing is decoded."""
+    """The four quadrants of a tree of two levels or more; each level of one is a slice of the tree's, so nothing is decoded."""
+    if tree.levels < 2:
+        raise ValueError("a quadrant of a single level is a cell")
     empty_part = QuadTree(tree.levels - 1, np.zeros(0, np.uint8), [])
     if not tree.level_bits:
         return [empty_part] * 4
@@ -206,7 +208,7 @@ def quadrants(tree: QuadTree) -> list[QuadTree]:
             # The children of a run of quadrants are a run of the next level.
             before = int(below[:low].sum())
             low, high = before, before + int(below[low:high].sum())
-        out.append(_from_levels(tree.levels - 1, parts) if parts else QuadTree(0, np.zeros(0, np.uint8), []))
+        out.append(_from_levels(tree.levels - 1, parts))
     return out
 
 
@@ -233,7 +235,7 @@ def concat(parts: list[QuadTree], levels: int, counters: Counter | None = None)
 
 
 #: Quadrants of so many levels are merged as sorted codes.
-_CODE_LEVELS = 5
+_CODE_LEVELS = 7
 
 
 def combine(op: str, x: QuadTree, y: QuadTree, counters: Counter | None = None, row: int | None = None, col: int | None = None, parallel_levels: int = 0) -> QuadTree:
@@ -384,9 +386,9 @@ def merge_sum(x: QuadTree, y: QuadTree, batch_copies: bool = True, counters: Cou
     """Sum in one pass over both bit strings.
 
     A level's tasks, in order, each merge two signatures or copy one; they name the
-    next level's tasks.  With ``batch_copies`` consecutive tasks of a kind are one
-    copy, or one merge, of a slice of words; without it every signature is handled
-    by itself, as libraries do that copy node by node.
+    next level's tasks.  With ``batch_copies`` a level's copies from one side are one
+    block of words, and so are its merges; without it every signature is handled by
+    itself, as libraries do that copy node by node.
     """
     counters = Counter() if counters is None else counters
     if not x.level_bits or not y.level_bits:
@@ -394,25 +396,26 @@ def merge_sum(x: QuadTree, y: QuadTree, batch_copies: bool = True, counters: Cou
     tasks = np.array([3], np.int8)  # 1: from x, 2: from y, 3: both
     parts = []
     for rows_x, rows_y in zip(level_arrays(x), level_arrays(y), strict=True):
-        out, kinds = np.empty((len(tasks), 4), np.uint8), np.empty((len(tasks), 4), np.uint8)
-        starts = np.concatenate([[0], np.flatnonzero(tasks[1:] != tasks[:-1]) + 1]) if batch_copies else np.arange(len(tasks))
-        ax = ay = 0
-        for a, b in zip(starts.tolist(), [*starts[1:].tolist(), len(tasks)], strict=True):
-            n, kind = b - a, int(tasks[a])
-            if kind == 3:
-                mine, other = rows_x[ax : ax + n], rows_y[ay : ay + n]
-                np.bitwise_or(mine, other, out=out[a:b])
-                kinds[a:b] = mine + 2 * other
-                counters["merges"] += n
-            else:
-                mine = rows_x[ax : ax + n] if kind == 1 else rows_y[ay : ay + n]
-                out[a:b] = mine
-                kinds[a:b] = kind * mine
-                counters["copies"] += 1
-            ax += n * (kind & 1)
-            ay += n * (kind >> 1)
         counters["tasks"] += len(tasks)
-        parts.append(out)
+        counters["merges"] += int((tasks == 3).sum())
+        copies = tasks != 3
+        if batch_copies:
+            counters["copies"] += int((copies & np.concatenate([[True], tasks[1:] != tasks[:-1]])).sum())
+            kinds = np.zeros((len(tasks), 4), np.uint8)
+            kinds[(tasks & 1) > 0] = rows_x
+            kinds[(tasks & 2) > 0] += 2 * rows_y
+        else:
+            counters["copies"] += int(copies.sum())
+            kinds = np.empty((len(tasks), 4), np.uint8)
+            ax = ay = 0
+            for k, task in enumerate(tasks.tolist()):
+                if task == 3:
+                    kinds[k] = rows_x[ax] + 2 * rows_y[ay]
+                else:
+                    kinds[k] = rows_x[ax] if task == 1 else 2 * rows_y[ay]
+                ax += task & 1
+                ay += task >> 1
+        parts.append((kinds > 0).astype(np.uint8))
         flat_kinds = kinds.reshape(-1)
         tasks = flat_kinds[flat_kinds > 0].astype(np.int8)
     return _from_levels(x.levels, parts)
