@@ -31,14 +31,37 @@ def session_counts(stream: DataFrame, gap: str = "30 minutes", late: str = "1 da
     return counts.select(F.unix_seconds("w.start").alias("start"), "user_id", "n")
 
 
+def with_static(stream: DataFrame, static: DataFrame, column: str, key: str) -> DataFrame:
+    """Edges with what a table says about one end; the table is read anew for each batch."""
+    return stream.join(static, stream[column] == static[key])
+
+
+def pairs_within(stream: DataFrame, first: str, second: str, span: str = "1 hour", late: str = "1 day") -> DataFrame:
+    """(user_id, event_id, after): a user's edges of one type that follow edges of another within ``span``.
+
+    Both sides carry a watermark, so state older than the span is dropped.
+    """
+    watched = stream.withWatermark("ts", late)
+    left = watched.where(F.col("event_type") == first).select("user_id", "event_id", F.col("ts").alias("began"))
+    right = watched.where(F.col("event_type") == second).select(F.col("user_id").alias("same_user"), F.col("event_id").alias("after"), F.col("ts").alias("ended"))
+    near = F.expr(f"user_id = same_user AND ended >= began AND ended <= began + INTERVAL {span}")
+    return left.join(right, near).select("user_id", "event_id", "after")
+
+
 def run_once(result: DataFrame, name: str, mode: str = "complete") -> DataFrame:
-    """Work off all input that is there and give the result as a table."""
+    """Work off all input that is there and give the result as a table in the shared folder.
+
+    A batch that is run again replaces its own files.
+    """
     spark = result.sparkSession
     where = fresh_path(spark, f"stream-{name}")
-    view = f"{name}_{where[-8:]}"
-    query = result.writeStream.format("memory").queryName(view).outputMode(mode).option("checkpointLocation", where).trigger(availableNow=True).start()
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{where}/rows" if mode == "complete" else f"{where}/rows/batch={number}")
+
+    query = result.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", f"{where}/state").trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.table(view)
+    return spark.read.schema(result.schema).parquet(f"{where}/rows").select(*result.columns)
 
 
 def add_edges(closure: DataFrame, base: DataFrame, fresh: DataFrame) -> DataFrame:
