@@ -226,23 +226,47 @@ def components(a: DataFrame, leaf_ones: int = LEAF_ONES) -> DataFrame:
     return _leaf_components(a) if a.count() <= leaf_ones else _distributed_components(a)
 
 
+def _linked(edges: DataFrame, leaf_ones: int) -> DataFrame:
+    """(id, component_id) of the ends of ``edges`` (a, b): in one task if they are few, else by star contraction."""
+    edges = checkpointed(edges)
+    if leaf_ones <= 0 or edges.limit(leaf_ones + 1).count() > leaf_ones:
+        return connected(edges)
+
+    def solve(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        up: dict[int, int] = {}
+
+        def root(x: int) -> int:
+            up.setdefault(x, x)
+            while up[x] != x:
+                up[x] = up[up[x]]
+                x = up[x]
+            return x
+
+        for f in frames:
+            for x, y in zip(f["a"].tolist(), f["b"].tolist(), strict=True):
+                x, y = root(x), root(y)
+                up[max(x, y)] = min(x, y)
+        yield pd.DataFrame({"id": list(up), "component_id": [root(x) for x in list(up)]}, dtype="int64")
+
+    return edges.coalesce(1).mapInPandas(solve, "id long, component_id long")
+
+
 def undirected_components(a: DataFrame, leaf_ones: int = LEAF_ONES) -> DataFrame:
     """(id, comp) of all ends of ``a``, edges taken both ways; the least end names a component."""
-    ends = _ends(a)
-    found = connected(a.select(F.col("r").alias("a"), F.col("c").alias("b"))).select("id", F.col("component_id").alias("comp"))
-    return ends.join(found, "id", "left").select("id", F.coalesce("comp", "id").alias("comp"))
+    a = checkpointed(a.select("r", "c"))
+    found = _linked(a.select(F.col("r").alias("a"), F.col("c").alias("b")), leaf_ones).select("id", F.col("component_id").alias("comp"))
+    return _ends(a).join(found, "id", "left").select("id", F.coalesce("comp", "id").alias("comp"))
 
 
-def mirrored_closure(x: DataFrame) -> FactoredClosure:
+def mirrored_closure(x: DataFrame, leaf_ones: int = LEAF_ONES) -> FactoredClosure:
     """The closure of X times X transposed, without that product.
 
     Rows that share a column are linked, so rows belong together if they are
     connected in the two-sided graph of rows (even numbers) and columns (odd ones).
     """
     sided = x.select((2 * F.col("r")).alias("a"), (2 * F.col("c") + 1).alias("b"))
-    found = connected(sided).where("id % 2 = 0")
-    comp = found.select(F.shiftright("id", 1).alias("id"), F.col("component_id").alias("comp"))
-    rows = checkpointed(comp)
+    rows = _linked(sided, leaf_ones).where("id % 2 = 0")
+    rows = checkpointed(rows.select(F.shiftright("id", 1).alias("id"), F.col("component_id").alias("comp")))
     names = rows.groupBy("comp").agg(F.min("id").alias("least"))
     comp = checkpointed(rows.join(names, "comp").select("id", F.col("least").alias("comp")))
     nothing = comp.select(F.col("id").alias("r"), F.col("comp").alias("c")).limit(0)

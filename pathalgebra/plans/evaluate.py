@@ -116,7 +116,7 @@ class Engine:
             half = mirrored(inner) if self.plan != "naive" and self.closure_method == "auto" else None
             if half is not None:
                 self.notes.append(f"undirected components of {text_of(half)}")
-                found = mirrored_closure(self.matrix(half)).pairs()
+                found = mirrored_closure(self.matrix(half), self.leaf_ones).pairs()
             else:
                 found = cl.closure(self.matrix(inner), self.closure_method, leaf_ones=self.leaf_ones)
         else:

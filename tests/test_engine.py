@@ -66,6 +66,7 @@ def test_paths_there_and_back(spark):
     got = rows(worker.matrix(normalise(parse_path("(links_to/^links_to)+"))))
     assert got == rows(Engine(g, "naive").matrix(normalise(parse_path("(links_to/^links_to)+"))))
     assert any("undirected" in x for x in worker.notes)
+    assert got == rows(Engine(g, leaf_ones=0).matrix(normalise(parse_path("(links_to/^links_to)+"))))
     assert count_pairs(g, "?x (links_to/^links_to)+ ?y") == len(got)
 
 
