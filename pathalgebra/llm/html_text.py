@@ -47,16 +47,17 @@ _URL = re.compile(r"^[a-zA-Z][a-zA-Z0-9+.-]*://([^/?#]*)([^?#]*)")
 _BOX = frozenset("article aside blockquote details div dl figure footer form header main nav ol section table ul".split())
 _CLASS = re.compile(r"(?:class|id)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
 
-_PARSED = "page_id long, url string, key long, host string, path string, article boolean, lines array<string>, hashes array<long>, boxes array<long>, roles array<int>"
+_PARSED = "page_id long, url string, key long, host string, path string, article boolean, lines array<string>, boxes array<long>, roles array<int>"
 _PARSED_ARROW = pa.schema([
     ("page_id", pa.int64()), ("url", pa.string()), ("key", pa.int64()), ("host", pa.string()), ("path", pa.string()), ("article", pa.bool_()),
-    ("lines", pa.list_(pa.string())), ("hashes", pa.list_(pa.int64())), ("boxes", pa.list_(pa.int64())), ("roles", pa.list_(pa.int32())),
+    ("lines", pa.list_(pa.string())), ("boxes", pa.list_(pa.int64())), ("roles", pa.list_(pa.int32())),
 ])
 #: Roles of lines: free, inside the article, inside an element that never holds article text.
 FREE, ARTICLE, DROPPED = 0, 1, 2
 
 #: An element is template if nine tenths of its lines are shared, on this many pages of the host at least.
 LEAST_SHARE, LEAST_PAGES = 0.9, 10
+_SALTS = 64
 
 
 def _hash(text: str) -> int:
@@ -192,7 +193,7 @@ def _key(page_id: int | None, url: str | None, source: str | None) -> int:
 
 
 def parsed_pages(pages: DataFrame) -> DataFrame:
-    """Every page's lines with their hashes, elements and roles; pages are parsed here only."""
+    """Every page's lines with their elements and roles; pages are parsed here only."""
 
     def parse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -201,7 +202,7 @@ def parsed_pages(pages: DataFrame) -> DataFrame:
                 for page_id, url, source in zip(*(c.to_pylist() for c in batch.slice(at, 500).columns), strict=True):
                     lines, article = text_lines(source)
                     host, path = _address(url)
-                    row = (page_id, url, _key(page_id, url, source), host, path, article, [x for x, _, _ in lines], [_hash(x) for x, _, _ in lines], [b for _, _, b in lines], [r for _, r, _ in lines])
+                    row = (page_id, url, _key(page_id, url, source), host, path, article, [x for x, _, _ in lines], [b for _, _, b in lines], [r for _, r, _ in lines])
                     for column, v in zip(out, row, strict=True):
                         column.append(v)
                 yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(out, _PARSED_ARROW, strict=True)], schema=_PARSED_ARROW)
@@ -218,7 +219,7 @@ def shared_lines(parsed: DataFrame) -> DataFrame:
     sent to all tasks, two rows for each partition, so pairs don't depend on where
     partitions end.
     """
-    rows = parsed.select("key", "host", "path", "article", "hashes", "boxes", "roles")
+    rows = parsed.select("key", "host", "path", "article", F.transform("lines", lambda x: F.xxhash64(x)).alias("hashes"), "boxes", "roles")
     rows = rows.repartitionByRange("host", "path", "key").sortWithinPartitions("host", "path", "key")
     rows = checkpointed(rows)
 
@@ -291,7 +292,10 @@ def template_marks(shared: DataFrame, least_share: float = LEAST_SHARE, least_pa
     """
     total = shared.groupBy("host", "box").agg(F.sum("n").alias("n"), F.sum("shared").alias("m"), F.count("*").alias("pages"))
     template = total.where((F.col("m") >= least_share * F.col("n")) & (F.col("pages") >= least_pages)).select("host", "box", F.lit(True).alias("template"))
-    marked = shared.join(template, ["host", "box"], "left").where("template or size(places) > 0")
+    # A host may hold a third of all pages: its elements are copied, and its pages dealt over the copies.
+    copies = template.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(_SALTS - 1))))
+    salted = shared.withColumn("salt", F.pmod("key", F.lit(_SALTS)).cast("int"))
+    marked = salted.join(copies, ["host", "box", "salt"], "left").where("template or size(places) > 0")
     boxes = F.collect_set(F.when(F.col("template"), F.col("box")))
     pages = marked.groupBy("key").agg(F.max("article").alias("article"), boxes.alias("marked"), F.flatten(F.collect_set("places")).alias("places"))
     return pages.where("not article or size(marked) > 0").drop("article")
