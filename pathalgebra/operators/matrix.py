@@ -75,23 +75,29 @@ def _meet(a: DataFrame, b: DataFrame) -> DataFrame:
     return a.select("r", F.col("c").alias("k")).join(b.select(F.col("r").alias("k"), "c"), "k")
 
 
-def product(a: DataFrame, b: DataFrame, row: int | None = None, col: int | None = None, method: str = "outer") -> DataFrame:
+def product(a: DataFrame, b: DataFrame, row: int | None = None, col: int | None = None, method: str = "outer", heavy: int = 100_000) -> DataFrame:
     """Boolean product: rows of the left factor, columns of the right one are restricted first.
 
     ``outer`` matches columns of A with rows of B and pairs what stands there;
-    ``rowwise`` joins with B's rows as arrays and merges them row by row, which
-    suits short rows; ``salted`` splits heavy middle indices over several tasks.
+    ``rowwise`` joins with B's rows as arrays and merges them row by row, but for
+    rows into which more than ``heavy`` ones would be merged, which go the other way;
+    ``salted`` deals middle indices with more than ``heavy`` ones in A over several
+    tasks and copies their rows of B.
     """
     a, b = restrict(a, row=row), restrict(b, col=col)
     if method == "rowwise":
         rows = adjacency_rows(b).withColumnRenamed("r", "k")
-        joined = a.select("r", F.col("c").alias("k")).join(rows, "k")
+        wide = a.join(rows.select(F.col("k").alias("c"), F.size("cols").alias("n")), "c").groupBy("r").agg(F.sum("n").alias("n")).where(F.col("n") > heavy).select("r")
+        joined = a.join(wide, "r", "left_anti").select("r", F.col("c").alias("k")).join(rows, "k")
         merged = joined.groupBy("r").agg(F.array_distinct(F.flatten(F.collect_list("cols"))).alias("cols"))
-        return merged.select("r", F.explode("cols").alias("c"))
+        return merged.select("r", F.explode("cols").alias("c")).unionByName(_meet(a.join(wide, "r", "left_semi"), b).select("r", "c").distinct())
     if method == "salted":
         fan = 8
-        left = a.select("r", F.col("c").alias("k"), F.pmod(F.xxhash64("r"), F.lit(fan)).cast("int").alias("salt"))
-        right = b.select(F.col("r").alias("k"), "c", F.explode(F.sequence(F.lit(0), F.lit(fan - 1))).alias("salt"))
+        loaded = a.groupBy(F.col("c").alias("k")).agg(F.count("*").alias("n")).where(F.col("n") > heavy).select("k", F.lit(True).alias("heavy"))
+        salt = F.when(F.col("heavy"), F.pmod(F.xxhash64("r"), F.lit(fan)).cast("int")).otherwise(0)
+        left = a.select("r", F.col("c").alias("k")).join(loaded, "k", "left").select("r", "k", salt.alias("salt"))
+        salts = F.when(F.col("heavy"), F.sequence(F.lit(0), F.lit(fan - 1))).otherwise(F.array(F.lit(0)))
+        right = b.select(F.col("r").alias("k"), "c").join(loaded, "k", "left").select("k", "c", F.explode(salts).alias("salt"))
         return left.join(right, ["k", "salt"]).select("r", "c").distinct()
     return _meet(a, b).select("r", "c").distinct()
 

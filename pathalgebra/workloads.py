@@ -353,8 +353,8 @@ def _matrix_queries() -> dict[str, Query]:
         "sum_basic": lambda a, b: m.union(a, b), "intersection_basic": lambda a, b: m.intersect(a, b), "difference_basic": lambda a, b: m.minus(a, b),
         "xor_basic": lambda a, b: m.xor(a, b), "xor_outer": lambda a, b: m.xor_outer(a, b), "sum_row": lambda a, b: m.union(a, b, row=_ROW), "sum_col": lambda a, b: m.union(a, b, col=_COL),
         "sum_cell": lambda a, b: m.union(a, b, _ROW, _COL), "intersection_row": lambda a, b: m.intersect(a, b, row=_ROW), "difference_col": lambda a, b: m.minus(a, b, col=_COL),
-        "xor_row": lambda a, b: m.xor(a, b, row=_ROW), "product_basic": lambda a, b: m.product(a, b), "product_rowwise": lambda a, b: m.product(a, b, method="rowwise"),
-        "product_salted": lambda a, b: m.product(a, b, method="salted"), "product_row": lambda a, b: m.product(a, b, row=_ROW), "product_col": lambda a, b: m.product(a, b, col=_COL),
+        "xor_row": lambda a, b: m.xor(a, b, row=_ROW), "product_basic": lambda a, b: m.product(a, b), "product_rowwise": lambda a, b: m.product(a, b, method="rowwise", heavy=150),
+        "product_salted": lambda a, b: m.product(a, b, method="salted", heavy=10), "product_row": lambda a, b: m.product(a, b, row=_ROW), "product_col": lambda a, b: m.product(a, b, col=_COL),
         "product_cell": lambda a, b: m.product(a, b, _ROW, _COL), "product_counts": lambda a, b: m.product_counts(a, b), "transpose_basic": lambda a, b: m.transpose(a),
         "power2": lambda a, b: m.power(a, 2), "power3": lambda a, b: m.power(a, 3), "triangle_edges": lambda a, b: m.triangles(a),
         "adjacency_rows": lambda a, b: m.adjacency_rows(a).select("r", F.array_join("cols", ",").alias("cols")),
