@@ -4,7 +4,12 @@ from __future__ import annotations
 
 import random
 
+import numpy as np
+import pytest
+
 from pathalgebra.operators import components as comps
+from pathalgebra.operators import quadtree as qt
+from pathalgebra.operators import tiles
 
 
 def test_shares_of_a_closure_fit_together_in_any_order_of_edges():
@@ -14,3 +19,56 @@ def test_shares_of_a_closure_fit_together_in_any_order_of_edges():
         random.Random(share).shuffle(edges)
         found |= {(v, c) for v, reached in comps.closure_pairs(edges, share, 3) for c in reached}
     assert found == set(edges)
+
+
+def _pairs(df):
+    rows = [(r["r"], r["c"]) for r in df.collect()]
+    assert len(rows) == len(set(rows))
+    return set(rows)
+
+
+def _matrix(spark, cells):
+    r, c = np.nonzero(cells)
+    return spark.createDataFrame(list(zip(r.tolist(), c.tolist(), strict=True)), "r long, c long")
+
+
+def test_many_trees_at_once():
+    rng = np.random.default_rng(1)
+    cells = [rng.random((32, 32)) < d for d in (0.01, 0.3, 1.0, 0.05)]
+    single = [qt.encode(*np.nonzero(x), 5) for x in cells]
+    keys = np.concatenate([qt.codes(t) + np.uint64(i << 10) for i, t in enumerate(single)])
+    number, ones, sizes, trees = qt.encode_many(keys, 5)
+    assert trees == [t.to_bytes() for t in single] and number.tolist() == [0, 1, 2, 3]
+    assert ones.tolist() == [t.ones for t in single] and sizes.tolist() == [t.level_bits for t in single]
+    assert (qt.decode_many(trees, 5) == keys).all()
+    turned = qt.encode_many(np.sort(qt.turned_keys(keys, 5)), 5)[3]
+    assert turned == [qt.turned(t).to_bytes() for t in single]
+    for xs, ys in ((trees, trees[:2]), (trees[2:3], trees[1:3])):  # through the quadrants, and as rows of numbers
+        found = qt.times_many(xs, ys, 5)
+        want = [qt.codes(qt.times(qt.QuadTree.from_bytes(x), qt.QuadTree.from_bytes(y))) + np.uint64((i * len(ys) + j) << 10) for i, x in enumerate(xs) for j, y in enumerate(ys)]
+        assert (found == np.concatenate(want)).all()
+
+
+def test_tiles_are_packed_by_batches(spark):
+    rng = np.random.default_rng(2)
+    a, b = rng.random((90, 90)) < 0.04, rng.random((90, 90)) < 0.9
+    x, y = (tiles.to_tiles(_matrix(spark, v), 3) for v in (a, b))
+    assert "FlatMapGroupsInPandas" not in x._jdf.queryExecution().toString()
+    as_set = lambda v: set(zip(*(z.tolist() for z in np.nonzero(v)), strict=True))
+    times = lambda v, w: (v.astype(int) @ w.astype(int)) > 0
+    assert _pairs(tiles.from_tiles(tiles.tile_product(x, y), 3)) == as_set(times(a, b))
+    assert _pairs(tiles.from_tiles(tiles.tile_product(tiles.tile_transpose(x), y), 3)) == as_set(times(a.T, b))
+    assert _pairs(tiles.from_tiles(tiles.tile_product(x, y, row=3, col=50, tile_bits=3), 3)) == {p for p in as_set(times(a, b)) if p == (3, 50)}
+
+
+@pytest.mark.parametrize("shape", ["both", "upper", "lower", "apart"])
+def test_ranges_of_tiles_are_closed_in_a_task(spark, monkeypatch, shape):
+    monkeypatch.setattr(tiles, "_LEAF_SIDE", 16)
+    rng = np.random.default_rng(3)
+    a = rng.random((60, 60)) < 0.03
+    a = {"both": a, "upper": np.triu(a), "lower": np.tril(a), "apart": a & (np.arange(60)[:, None] // 30 == np.arange(60) // 30)}[shape]
+    want = a.copy()
+    for k in range(60):
+        want |= np.outer(want[:, k], want[k])
+    got = tiles.tile_closure(tiles.to_tiles(_matrix(spark, a), 2))
+    assert _pairs(tiles.from_tiles(got, 2)) == set(zip(*(z.tolist() for z in np.nonzero(want)), strict=True))
