@@ -7,6 +7,7 @@ import random
 import numpy as np
 import pytest
 
+from pathalgebra.operators import closure as cl
 from pathalgebra.operators import components as comps
 from pathalgebra.operators import quadtree as qt
 from pathalgebra.operators import tiles
@@ -72,3 +73,16 @@ def test_ranges_of_tiles_are_closed_in_a_task(spark, monkeypatch, shape):
         want |= np.outer(want[:, k], want[k])
     got = tiles.tile_closure(tiles.to_tiles(_matrix(spark, a), 2))
     assert _pairs(tiles.from_tiles(got, 2)) == set(zip(*(z.tolist() for z in np.nonzero(want)), strict=True))
+
+
+@pytest.mark.parametrize("variant", ["left", "right"])
+def test_bisection_takes_groups_of_components_together(spark, monkeypatch, variant):
+    levels, bisect = [], cl._bisect_groups
+    monkeypatch.setattr(cl, "_bisect_groups", lambda *a: levels.append(1) or bisect(*a))
+    edges = {(10 * k + i, 10 * k + i + 1) for k in range(40) for i in range(1 + k % 4)} | {(3, 0), (403, 403), (404, 403)}
+    want = set(edges)
+    while (more := want | {(x, z) for x, y in want for w, z in edges if y == w}) != want:
+        want = more
+    a = spark.createDataFrame(sorted(edges), "r long, c long")
+    assert _pairs(cl.closure(a, "bisect", leaf_ones=12, variant=variant)) == want
+    assert len(levels) < 20  # a leaf of 12 ones each would be some 30 of them
