@@ -6,7 +6,9 @@ import random
 
 import numpy as np
 import pytest
+from conftest import SF
 
+from pathalgebra import workloads
 from pathalgebra.operators import closure as cl
 from pathalgebra.operators import components as comps
 from pathalgebra.operators import quadtree as qt
@@ -86,3 +88,10 @@ def test_bisection_takes_groups_of_components_together(spark, monkeypatch, varia
     a = spark.createDataFrame(sorted(edges), "r long, c long")
     assert _pairs(cl.closure(a, "bisect", leaf_ones=12, variant=variant)) == want
     assert len(levels) < 20  # a leaf of 12 ones each would be some 30 of them
+
+
+@pytest.mark.parametrize("name", ["city_example", "grid_source", "udaf_tile_or", "udf_zorder", "udtf_quadrants"])
+def test_tasks_read_a_given_table(spark, name):
+    df = workloads.queries()[name](spark, SF)
+    assert any(x.endswith(("/lineitem.parquet", "/events.parquet")) or "/lineitem.parquet/" in x for x in df.inputFiles())
+    assert df.count() > 5
