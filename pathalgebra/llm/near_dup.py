@@ -9,9 +9,9 @@
    further rounds, best estimates first, until none is left untried.
 
 Buckets of more than ``bucket_rows`` members are dealt over several groups by the
-leaders.  Where members of several components are left in such a bucket, those
-meet that share another band as well, so what many texts have in common costs
-rows in proportion to the members and not to their pairs.
+leaders.  Where members of several components are left in such a bucket, all but
+those of its least component are copied to every group, so no pair of a bucket
+depends on the bucket's size.
 """
 
 from __future__ import annotations
@@ -119,17 +119,16 @@ def _open_pairs(group: dict, sketcher: OddSketcher, percent: int, limit: int | N
     """Pairs of one minor member and one member of another component, best first.
 
     A pair that shares several bands is given in the bucket of its first one only,
-    and in a bucket that is cut by a second band in that of its first two only.
+    and in a bucket that is dealt out where its second member is the group's own.
     """
     ids, where = np.unique(group["rep"], return_index=True)
     bits, comp, minor = sketcher.table(group["sketch"][where]), group["comp"][where], group["minor"][where]
     bands = np.stack(group["bands"][where])
     place = int(np.flatnonzero(bands[0] == group["key"][0])[0])
-    before = [*range(place), *range(place + 1, int(group["via"][0]))]
-    earlier = bands[:, before]
+    earlier, own = bands[:, :place], group["own"][where]
     pairs, more = [], False
     for i in np.flatnonzero(minor):
-        other = np.flatnonzero((comp != comp[i]) & (~minor | (ids > ids[i])))
+        other = np.flatnonzero(own & (comp != comp[i]) & (~minor | (ids > ids[i])))
         other = other[~(earlier[other] == earlier[i]).any(axis=1)]
         near, may = sketcher.similarity(bits[i], bits[other], percent)
         other, near = other[may], near[may]
@@ -141,31 +140,18 @@ def _open_pairs(group: dict, sketcher: OddSketcher, percent: int, limit: int | N
 
 
 def _open_groups(label: DataFrame, bucket_rows: int) -> DataFrame:
-    """Members of buckets with several components, as groups (key, via, sub, part).
+    """Members of buckets with several components, as groups (key, part).
 
-    A bucket of up to ``bucket_rows`` members is a group.  A larger one is cut by
-    every later band (``via``): members that share both bands are a group.  Only
-    where so many share two bands are groups dealt out and minor members, whose
-    component isn't the bucket's least, copied to each part.
+    Groups have about ``bucket_rows`` members of their own.  A larger bucket is dealt
+    out over several, and minor members, whose component isn't the bucket's least, are
+    copied to each, so the same pairs are tried whatever the bucket's size.
     """
     mixed = label.groupBy("key").agg(F.min("comp").alias("main"), F.max("comp").alias("top")).where("main <> top").select("key", "main")
     rows = label.join(stored(mixed, "mixed"), "key").withColumn("minor", F.col("comp") != F.col("main")).drop("main")
-    small = rows.where(F.col("n") <= bucket_rows).withColumn("via", F.lit(0)).withColumn("sub", F.lit(0).cast("long")).withColumn("part", F.lit(0))
-    place = F.array_position("bands", F.col("key")).cast("int")
-    later = F.slice("bands", place + 1, F.size("bands") - place)
-    large = rows.where(F.col("n") > bucket_rows)
-    cut = large.select("key", "rep", "comp", "minor", place.alias("place"), F.posexplode(later).alias("after", "sub"))
-    cut = cut.select("key", "rep", "comp", "minor", (F.col("place") + F.col("after")).alias("via"), "sub")
-    shared = cut.groupBy("key", "via", "sub").agg(F.count("*").alias("m"), F.min("comp").alias("low"), F.max("comp").alias("high"), F.max("minor").alias("some"))
-    shared = stored(shared.where("m > 1 and low <> high and some").select("key", "via", "sub", "m"), "second-bands")
-    parts = F.ceil(F.col("m") / bucket_rows).cast("int")
+    parts = F.ceil(F.col("n") / bucket_rows).cast("int")
     mine = F.pmod(F.xxhash64("rep"), parts).cast("int")
-    dealt = cut.join(shared, ["key", "via", "sub"])
-    dealt = dealt.withColumn("part", F.explode(F.when(F.col("minor"), F.sequence(F.lit(0), parts - 1)).otherwise(F.array(mine))))
-    dealt = dealt.select("key", "via", "sub", "part", "rep", "minor")
-    dealt = dealt.join(large.select("key", "rep", "sketch", "bands", "comp"), ["key", "rep"])
-    columns = ["key", "via", "sub", "part", "rep", "sketch", "bands", "comp", "minor"]
-    return small.select(*columns).unionByName(dealt.select(*columns))
+    dealt = rows.withColumn("mine", mine).withColumn("part", F.explode(F.when(F.col("minor"), F.sequence(F.lit(0), parts - 1)).otherwise(F.array(mine))))
+    return dealt.select("key", "part", "rep", "sketch", "bands", "comp", "minor", (F.col("part") == F.col("mine")).alias("own"))
 
 
 def _confirmed(texts: DataFrame, reps: DataFrame, pairs: DataFrame, width: int, percent: int, fan: int) -> DataFrame:
@@ -224,9 +210,8 @@ def near_duplicates(
     null and kept is false.  Other columns are ignored; no rows give no rows.
 
     Bands of five samples miss a pair of similarity 0.85 (0.8) with probability
-    about 8e-6 (4e-4, or 2e-7 with 40 bands), and a pair whose first shared bucket
-    has more than ``bucket_rows`` members must share a second band, which it doesn't
-    with 2e-5 (2e-7 with 40 bands) at most; sketches rule a pair out at four deviations.
+    about 8e-6 (4e-4, or 2e-7 with 40 bands), whatever the sizes of buckets; sketches
+    rule a pair out at four deviations.
     """
     sketcher = sketcher or OddSketcher(bands=20 if percent >= 85 else 40)
     with scratch(documents.sparkSession):
@@ -260,7 +245,7 @@ def _components_of(documents: DataFrame, width: int, percent: int, sketcher: Odd
     links = stored(_confirmed(texts, reps, first, width, percent, fan=500), "links")
     named = components(links)
 
-    group_keys = ["key", "via", "sub", "part"]
+    group_keys = ["key", "part"]
     for limit in limits:
         label = rows.join(named.select(F.col("id").alias("rep"), "component_id"), "rep", "left").withColumn("comp", F.coalesce("component_id", "rep"))
         label = stored(label.select("key", "n", "rep", "sketch", "bands", "comp"), "labelled")
