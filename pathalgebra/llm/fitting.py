@@ -20,6 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pathalgebra.llm.memory import lean
 from pathalgebra.runtime import stored
 
 #: A text of more characters isn't learned from; it is predicted whole like any other.
@@ -63,8 +64,9 @@ def fit_in_task(rows: DataFrame, train: Callable[[list[tuple]], Any], most_chars
                 if total > most_chars:
                     break
                 held.append(row)
-        yield pa.RecordBatch.from_arrays([pa.array([_in_own_process(train, sorted(held))], pa.binary())], names=["model"])
+        held.sort()  # in place: the child is given these rows, and none stay here beside it
+        yield pa.RecordBatch.from_arrays([pa.array([_in_own_process(train, held)], pa.binary())], names=["model"])
 
     ordered = rows.where(F.col(text).isNotNull() & F.col(label).isNotNull()).repartition(1).sortWithinPartitions(F.xxhash64(key), key, text, label)
-    found = ordered.mapInArrow(learn, "model binary").first()
+    found = ordered.mapInArrow(lean(learn), "model binary").first()
     return pickle.loads(found["model"]) if found is not None else train([])

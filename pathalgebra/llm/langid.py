@@ -23,11 +23,14 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pathalgebra.llm.fitting import LONGEST, MOST_CHARS, chosen_keys, fit_in_task
+from pathalgebra.llm.memory import lean
 from pathalgebra.llm.word_features import affixes, letter_matrix, letter_table, ngrams, whole
 from pathalgebra.llm.words import blocks, split_words
 
 _BITS = 16
 _STRETCH = 128
+#: Bytes of texts that are labelled together; a word of them takes about a kilobyte meanwhile.
+BLOCK = 1_000_000
 
 
 @dataclass
@@ -272,7 +275,7 @@ def language_labels(documents: DataFrame, chain: Chain | None, keep: tuple[str,
             texts = batch.column(batch.schema.get_field_index("text"))
             said: list[str] = []
             scores: list[float] = []
-            for _, block in blocks(texts, 4_000_000):
+            for _, block in blocks(texts, BLOCK):
                 if chain is None:
                     said += ["und"] * len(block)
                     scores += [0.0] * len(block)
@@ -287,7 +290,7 @@ def language_labels(documents: DataFrame, chain: Chain | None, keep: tuple[str,
 
     rows = documents.select(*dict.fromkeys([*keep, "text"]))
     kept = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema if f.name in keep)
-    return rows.mapInArrow(label, f"{kept}, lang_pred string, score double")
+    return rows.mapInArrow(lean(label), f"{kept}, lang_pred string, score double")
 
 
 def identify_languages(documents: DataFrame, sample: int = 1500) -> DataFrame:

@@ -25,6 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from pathalgebra.llm.components import components
+from pathalgebra.llm.memory import lean
 from pathalgebra.llm.shingles import OddSketcher, shingle_sets
 from pathalgebra.runtime import kept, scratch, stored
 
@@ -63,7 +64,7 @@ def signatures(documents: DataFrame, width: int, sketcher: OddSketcher) -> DataF
                 schema=_SIGNED_ARROW,
             )
 
-    return documents.select(F.col("doc_id").cast("long"), "text").mapInArrow(sign, _SIGNED)
+    return documents.select(F.col("doc_id").cast("long"), "text").mapInArrow(lean(sign), _SIGNED)
 
 
 def _runs(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[dict[str, np.ndarray]]:

@@ -17,6 +17,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
+from pathalgebra.llm.memory import lean
 from pathalgebra.llm.tokens import shared_encoder, tokenizer_path
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
@@ -123,7 +124,7 @@ def pack_documents(documents: DataFrame, tokenizer: str | None = None, capacity:
             yield as_batch(rows)
         yield from flush()
 
-    return documents.select("doc_id", "text").mapInArrow(pack, PIECES)
+    return documents.select("doc_id", "text").mapInArrow(lean(pack, alone=False), PIECES)
 
 
 def as_batch(rows: list[tuple]) -> pa.RecordBatch:

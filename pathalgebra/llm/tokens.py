@@ -15,6 +15,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 
+from pathalgebra.llm.memory import caches
 from pathalgebra.llm.words import blocks, byte_table, ragged, split_words
 
 #: Fixed values of the tokenizer's own cutting, for Latin-1 letters in lower case.
@@ -123,6 +124,7 @@ class WordEncoder:
 
 
 _encoders: dict[tuple, WordEncoder] = {}
+caches.append(_encoders)
 
 
 def shared_encoder(path: str, end_id: int | None = 1) -> WordEncoder:

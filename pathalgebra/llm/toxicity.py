@@ -21,6 +21,7 @@ from pyspark.sql import functions as F
 
 from pathalgebra.llm.fitting import LONGEST, MOST_CHARS, chosen_keys, fit_in_task
 from pathalgebra.llm.langid import held_out
+from pathalgebra.llm.memory import lean
 from pathalgebra.llm.word_features import affixes, letter_matrix, letter_table, ngrams, whole
 from pathalgebra.llm.words import blocks, ragged, split_words
 
@@ -308,7 +309,7 @@ def toxicity_scores(documents: DataFrame, net: Network, keep: tuple[str, ...] =
 
     rows = documents.select(*dict.fromkeys([*keep, "text"]))
     kept = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema if f.name in keep)
-    return rows.mapInArrow(score, f"{kept}, score double")
+    return rows.mapInArrow(lean(score), f"{kept}, score double")
 
 
 def score_toxicity(documents: DataFrame, labels: DataFrame, sample: int = 4000) -> DataFrame:
