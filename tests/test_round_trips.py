@@ -6,6 +6,7 @@ import random
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from pathalgebra.operators import quadtree as qt
 from pathalgebra.operators import tiles
@@ -40,3 +41,11 @@ def test_the_smaller_round_trip_is_closed(spark, monkeypatch):
     monkeypatch.setattr(tiles, "tile_closure", lambda x: closed.append(x) or close(x))
     assert answer(graph, "?x (a/^a)+ ?y", engine="tiles", tile_bits=2).count() == 1200
     assert [x.count() for x in closed] == [1]
+
+
+def test_full_tiles_are_unpacked_by_many_tasks(spark):
+    side = spark.range(160)
+    a = side.select(F.col("id").alias("r")).crossJoin(side.select(F.col("id").alias("c")))
+    out = tiles.from_tiles(tiles.to_tiles(a, 5), 5, side.select((F.col("id") + 7).alias("term"), "id"))
+    assert out.distinct().count() == 160 * 160
+    assert out.select(F.spark_partition_id().alias("p")).distinct().count() > 4
