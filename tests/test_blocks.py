@@ -28,3 +28,10 @@ def test_component_expand_builds_no_path_there_and_back(spark, duck, monkeypatch
 
     monkeypatch.setattr("pathalgebra.operators.matrix.product", product)
     same_rows(workloads.component_expand(spark, SF), duck, workloads.oracle_sql()["component_expand"])
+
+
+def test_pairs_of_one_component_come_from_many_tasks(spark):
+    comp = spark.range(2000).selectExpr("id", "cast(0 as bigint) AS comp")
+    closure = comps.FactoredClosure(comp, spark.createDataFrame([], "r long, c long"), spark.createDataFrame([(0,)], "comp long"))
+    by_task = closure.pairs().selectExpr("spark_partition_id() AS p").groupBy("p").count().collect()
+    assert sum(x["count"] for x in by_task) == 4_000_000 and len(by_task) > 4
