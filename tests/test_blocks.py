@@ -5,6 +5,7 @@ from __future__ import annotations
 from conftest import SF, same_rows
 
 from pathalgebra import workloads
+from pathalgebra.operators import closure as cl
 from pathalgebra.operators import components as comps
 
 
@@ -35,3 +36,24 @@ def test_pairs_of_one_component_come_from_many_tasks(spark):
     closure = comps.FactoredClosure(comp, spark.createDataFrame([], "r long, c long"), spark.createDataFrame([(0,)], "comp long"))
     by_task = closure.pairs().selectExpr("spark_partition_id() AS p").groupBy("p").count().collect()
     assert sum(x["count"] for x in by_task) == 4_000_000 and len(by_task) > 4
+
+
+def test_few_ones_of_many_pairs_are_expanded_by_blocks(spark, monkeypatch):
+    monkeypatch.setattr(comps, "_MOST_PAIRS", 100_000, raising=False)
+    cycle = [(v, (v + 1) % 600) for v in range(600)]
+    edges = [*cycle, (1000, 0), (599, 2000), (2000, 2001), (3000, 3001), (3001, 3000), (4000, 4000)]
+    a = spark.createDataFrame(edges, "r long, c long")
+    found = cl.closure(a)
+    assert "explode(c" in found._jdf.queryExecution().executedPlan().toString()
+    assert _rows(found, "r", "c") == {(r, c) for r, reached in comps.closure_pairs(edges) for c in reached}
+    chain = cl.closure(spark.createDataFrame([(v, v + 1) for v in range(600)], "r long, c long"))
+    assert chain.count() == 600 * 601 // 2
+
+
+def test_a_task_never_holds_the_product_of_two_blocks(spark):
+    side = spark.range(3000).selectExpr("id % 2 AS key", "id")
+    pairs = comps.expanded(side.withColumnRenamed("id", "r"), side.withColumnRenamed("id", "c"))
+    plan = pairs._jdf.queryExecution().executedPlan().toString()
+    # A narrow step that isn't generated code lies between the two sides.
+    assert plan.index("explode(c") < plan.index("Coalesce") < plan.index("explode(r")
+    assert pairs.count() == pairs.distinct().count() == 2 * 1500 * 1500
