@@ -90,6 +90,20 @@ def test_bisection_takes_groups_of_components_together(spark, monkeypatch, varia
     assert len(levels) < 20  # a leaf of 12 ones each would be some 30 of them
 
 
+def test_leaves_of_many_ones_hold_whole_components(spark, monkeypatch):
+    held, leaf = [], cl.leaf_closure
+    monkeypatch.setattr(cl, "leaf_closure", lambda a, *more: held.append(a.count()) or leaf(a, *more))
+    monkeypatch.setattr(cl, "_GROUP_ONES", 5)
+    edges = {(10 * k + i, 10 * k + i + 1) for k in range(40) for i in range(1 + k % 4)} | {(3, 0), (403, 403), (404, 403)}
+    large = {(1000 + i, 1000 + (3 * i + 1) % 9) for i in range(9)}  # a component of more ones than a group
+    want = edges | large
+    while (more := want | {(x, z) for x, y in want for w, z in edges | large if y == w}) != want:
+        want = more
+    a = spark.createDataFrame(sorted(edges | large), "r long, c long")
+    assert _pairs(cl.closure(a, "leaf", leaf_ones=20)) == want
+    assert all(x <= 20 for x in held)  # every task held all 108 ones
+
+
 @pytest.mark.parametrize("name", ["city_example", "grid_source", "udaf_tile_or", "udf_zorder", "udtf_quadrants"])
 def test_tasks_read_a_given_table(spark, name):
     df = workloads.queries()[name](spark, SF)
