@@ -34,3 +34,14 @@ def test_other_closures_stay_on_tiles(spark, monkeypatch):
     a = spark.createDataFrame(sorted(EDGES), "r long, c long")
     rows = {(r["r"], r["c"]) for r in tiles.closed_pairs(tiles.to_tiles(a, 3), 3).collect()}
     assert rows == WANT and closed
+
+
+def test_saturated_paths_dont_multiply_tiles(spark, monkeypatch):
+    def product(*args, **options):
+        raise AssertionError("tiles were closed")
+
+    monkeypatch.setattr(comps, "_MOST_PAIRS", 1000)
+    monkeypatch.setattr(tiles, "tile_closure", product)
+    graph = Graph.from_triples(spark.createDataFrame([(r + 500, "a", c + 500) for r, c in EDGES], "s long, p string, o long"))
+    rows = [(r["x"] - 500, r["y"] - 500) for r in answer(graph, "?x a+ ?y", engine="tiles", tile_bits=3).collect()]
+    assert len(rows) == len(set(rows)) and set(rows) == WANT
